@@ -21,7 +21,9 @@ from ..session import ship
 
 #: Rows up to which a side may be broadcast; beyond it the same join is shuffled.
 BROADCAST_ROWS = 1_000_000
-BROADCAST_BYTES = 48 << 20
+BROADCAST_BYTES = 24 << 20
+#: Rows of an Arrow batch.
+ARROW_ROWS = 2000
 
 WHITE = b"\t\n\x0b\x0c\r "
 
@@ -52,8 +54,14 @@ def saved(df: DataFrame) -> DataFrame:
 
 
 def arrow_map(df: DataFrame, function, schema: str) -> DataFrame:
-    """``mapInArrow`` with this package made importable in the workers."""
-    ship(df.sparkSession)
+    """``mapInArrow`` with this package made importable in the workers.
+
+    Texts come in batches of at most ``ARROW_ROWS`` rows, which bounds a worker's memory.
+    """
+    spark = df.sparkSession
+    ship(spark)
+    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > ARROW_ROWS:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(ARROW_ROWS))
     return df.mapInArrow(function, schema)
 
 

@@ -9,8 +9,8 @@ hashes.  Windows are counted in Spark and covered words are removed.
    the shuffled rows to about two in ``width / 2`` words.
 2. A document whose whole word sequence occurs under a smaller id is removed as a whole (it has
    at least ``width`` words) and takes no further part: the first copy has all its windows.
-3. Windows under shared anchors are counted exactly, with 128-bit hashes; the smallest id of each
-   is joined back and windows with a smaller one become removal intervals.
+3. Windows under shared anchors are counted exactly, with 128-bit hashes: each learns the smallest
+   id that has it, and windows with a smaller one become removal intervals.
 
 Null ids: nothing is removed and the row is never a source.  Repeated ids never remove from each
 other (an id must be strictly smaller); a null or empty text has no words.
@@ -18,14 +18,16 @@ other (an id must be strictly smaller); a null or empty text has no words.
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from .common import arrow_map, blocks, join_bounded, mix, powers, saved, signed, word_hashes
+from .common import arrow_map, binary_column, blocks, mix, powers, saved, signed, word_hashes
 
 _SECOND = np.uint64(0xA0761D6478BD642F)
 
@@ -86,61 +88,64 @@ def _scan(width: int):
     return run
 
 
+def _pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Texts in packed form, for the shuffle."""
+    for batch in batches:
+        packed = [zlib.compress(x, 1) for x in binary_column(batch, "body")]
+        yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(packed, pa.binary())], names=["id", "body"])
+
+
 def _windows(width: int):
     """Rows of the windows under shared anchors, for documents that have any."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids = batch.column("id").to_numpy(zero_copy_only=False)
-            shared = batch.column("shared")
-            for lo, hi, raw, offs in blocks(batch.column("body"), 1 << 20):
-                w, at = word_hashes(raw, offs, False)
-                cols: list[list[np.ndarray]] = [[], [], [], [], [], []]
-                for i in range(hi - lo):
-                    own = w[at[i] : at[i + 1]]
-                    if len(own) < width:
-                        continue
-                    hot = np.asarray(shared[lo + i].values.to_numpy(zero_copy_only=False))
-                    at_window = np.flatnonzero(np.isin(signed(_anchors(own, width)), hot))
-                    if not len(at_window):
-                        continue
-                    a, b = _fingerprint(own)
-                    h1, h2 = mix(_grams(own, width))[at_window], mix(_grams(mix(own ^ _SECOND), width))[at_window]
-                    for c, v in zip(cols, (signed(h1), signed(h2), np.full(len(h1), ids[lo + i], np.int64), np.full(len(h1), a, np.int64), np.full(len(h1), b, np.int64), at_window.astype(np.int32)), strict=True):
-                        c.append(v)
-                if cols[0]:
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], names=["h1", "h2", "id", "fp1", "fp2", "start"])
+            ids, shared = batch.column("id").to_numpy(zero_copy_only=False), batch.column("shared")
+            cols: list[list[np.ndarray]] = [[], [], [], [], []]
+            for i, packed in enumerate(batch.column("body").to_pylist()):
+                w, _ = _words(zlib.decompress(packed))
+                if len(w) < width:
+                    continue
+                hot = np.asarray(shared[i].values.to_numpy(zero_copy_only=False))
+                at = np.flatnonzero(np.isin(signed(_anchors(w, width)), hot))
+                if not len(at):
+                    continue
+                h1, h2 = mix(_grams(w, width))[at], mix(_grams(mix(w ^ _SECOND), width))[at]
+                for c, v in zip(cols, (signed(h1), signed(h2), np.full(len(at), ids[i], np.int64), np.full(len(at), _fingerprint(w)[0], np.int64), at.astype(np.int32)), strict=True):
+                    c.append(v)
+            if cols[0]:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], names=["h1", "h2", "id", "fp1", "start"])
 
     return run
 
 
+def _words(text: bytes) -> tuple[np.ndarray, np.ndarray]:
+    raw = np.frombuffer(text, np.uint8)
+    return word_hashes(raw, np.array([0, len(raw)]), False)
+
+
 def _remove(width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts, cuts = batch.column("body").to_pylist(), batch.column("cuts").to_pylist()
             kept, n, gone = [], [], []
-            for text, cut in zip(texts, cuts, strict=True):
-                words = (text or b"").split()
+            for packed, cut in zip(batch.column("body").to_pylist(), batch.column("cuts").to_pylist(), strict=True):
+                text = zlib.decompress(packed)
+                words = text.split()
                 n.append(len(words))
-                mask = None
-                if cut:
-                    block = np.frombuffer(text, np.uint8)
-                    a, b = _fingerprint(word_hashes(block, np.array([0, len(block)]), False)[0])
-                    for c in cut:
-                        if (c["fp1"], c["fp2"]) == (a, b):
-                            edge = np.zeros(len(words) + 1, np.int64)
-                            if c["whole"]:
-                                edge[0] += 1
-                            else:
-                                starts = np.asarray(c["starts"], np.int64)
-                                np.add.at(edge, starts, 1)
-                                np.add.at(edge, starts + width, -1)
-                            mask = np.cumsum(edge[:-1]) > 0
-                if mask is None:
-                    gone.append(0)
-                else:
-                    gone.append(int(mask.sum()))
-                    words = [x for x, m in zip(words, mask.tolist(), strict=True) if not m]
+                gone.append(0)
+                for c in cut or ():
+                    if c["fp1"] == _fingerprint(_words(text)[0])[0]:
+                        edge = np.zeros(len(words) + 1, np.int64)
+                        if c["whole"]:
+                            edge[0] += 1
+                        else:
+                            starts = np.asarray(c["starts"], np.int64)
+                            np.add.at(edge, starts, 1)
+                            np.add.at(edge, starts + width, -1)
+                        mask = np.cumsum(edge[:-1]) > 0
+                        gone[-1] = int(mask.sum())
+                        words = [x for x, m in zip(words, mask.tolist(), strict=True) if not m]
+                        break
                 kept.append(b" ".join(words))
             yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(kept, pa.binary())], names=["id", "n_words", "n_removed", "kept"])
 
@@ -149,30 +154,31 @@ def _remove(width: int):
 
 def removal_intervals(docs: DataFrame, width: int = 50, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, cuts): per document, what is to be removed from each word sequence it stands for."""
-    body = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").cast("binary").alias("body")).where("id is not null")
-    seen = saved(arrow_map(body, _scan(width), "id long, fp1 long, fp2 long, n_words long, anchors array<long>").where(F.col("n_words") >= width))
+    body = _bodies(docs, id_col, text_col)
+    seen = saved(arrow_map(body.where("id is not null"), _scan(width), "id long, fp1 long, fp2 long, n_words long, anchors array<long>").where(F.col("n_words") >= width))
     first = seen.groupBy("fp1", "fp2", "n_words").agg(F.min("id").alias("first_id"), F.max("id").alias("last_id"))
-    copies = seen.drop("anchors").join(first.where("first_id < last_id"), ["fp1", "fp2", "n_words"]).where("id > first_id").select("id", "fp1", "fp2").distinct()
-    alone = seen.select("id", "fp1", "fp2", "n_words", F.explode("anchors").alias("anchor")).join(copies, ["id", "fp1", "fp2"], "left_anti").select("id", "anchor")
+    copies = saved(seen.drop("anchors").join(first.where("first_id < last_id"), ["fp1", "fp2", "n_words"]).where("id > first_id").select("id", "fp1", "fp2").distinct())
+    alone = seen.join(copies, ["id", "fp1", "fp2"], "left_anti").select("id", F.explode("anchors").alias("anchor"))
     hot = alone.groupBy("anchor").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo < hi").select("anchor")
     shared = saved(alone.join(hot, "anchor").groupBy("id").agg(F.collect_set("anchor").alias("shared")))
-    size = shared.agg(F.count("*"), F.coalesce(F.sum(F.size("shared")), F.lit(0))).first()
-    joined = join_bounded(body, shared, "id", "inner", size[0], 32 + 8 * int(size[1] / max(1, size[0])))
-    windows = arrow_map(joined, _windows(width), "h1 long, h2 long, id long, fp1 long, fp2 long, start int")
-    windows = saved(windows)
-    owner = windows.groupBy("h1", "h2").agg(F.min("id").alias("owner"), F.max("id").alias("last")).where("owner < last").drop("last")
-    parts = windows.join(owner, ["h1", "h2"]).where("id > owner").groupBy("id", "fp1", "fp2").agg(F.collect_set("start").alias("starts")).withColumn("whole", F.lit(False))
-    whole = copies.select("id", "fp1", "fp2", F.array().cast("array<int>").alias("starts"), F.lit(True).alias("whole"))
-    return parts.unionByName(whole).groupBy("id").agg(F.collect_list(F.struct("fp1", "fp2", "starts", "whole")).alias("cuts"))
+    # both joins with the texts are shuffles at any size: neither side has a proven bound
+    texts = arrow_map(body.where("id is not null"), _pack, "id long, body binary")
+    windows = arrow_map(texts.join(shared.hint("merge"), "id"), _windows(width), "h1 long, h2 long, id long, fp1 long, start int")
+    own = Window.partitionBy("h1", "h2")
+    later = windows.withColumn("owner", F.min("id").over(own)).where("id > owner")
+    parts = later.groupBy("id", "fp1").agg(F.collect_set("start").alias("starts")).withColumn("whole", F.lit(False))
+    whole = copies.select("id", "fp1", F.array().cast("array<int>").alias("starts"), F.lit(True).alias("whole")).distinct()
+    return parts.unionByName(whole).groupBy("id").agg(F.collect_list(F.struct("fp1", "starts", "whole")).alias("cuts"))
+
+
+def _bodies(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").cast("binary").alias("body"))
 
 
 def dedup_substrings(docs: DataFrame, width: int = 50, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per input row: ``id_col``, n_words, n_removed and ``kept`` (the kept words, one space between)."""
     cuts = saved(removal_intervals(docs, width, id_col, text_col))
-    size = cuts.agg(F.count("*"), F.coalesce(F.sum(F.size(F.flatten("cuts.starts"))), F.lit(0))).first()
-    body = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").cast("binary").alias("body"))
-    joined = join_bounded(body, cuts, "id", "left", size[0], 64 + 4 * int(size[1] / max(1, size[0])))
+    texts = arrow_map(_bodies(docs, id_col, text_col), _pack, "id long, body binary")
+    joined = texts.join(cuts.hint("merge"), "id", "left")
     out = arrow_map(joined.select("id", "body", "cuts"), _remove(width), "id long, n_words long, n_removed long, kept binary")
     return out.select(F.col("id").alias(id_col), "n_words", "n_removed", F.col("kept").cast("string").alias("kept"))
-
-
