@@ -109,17 +109,20 @@ def _simulate_frame(graph: Graph, start, trials: int, walks: int, p: PprParams)
     arcs = graph.arcs.select(F.col("src").alias("node"), "idx", "dst", "dst_deg")
     parts, step = [], 0
     while True:
-        ended = []
+        ended, held = [], []
         for _ in range(p.table_every):
-            stops = drawn(F.lit(step), 0) < limit
-            ended.append(live.where(stops).groupBy("trial", "node").agg(F.count("*").alias("cnt")))
-            live = live.where(~stops).withColumn("idx", drawn(F.lit(step), 1) % F.col("deg")).join(arcs, ["node", "idx"]).select("trial", "walk", F.col("dst").alias("node"), F.col("dst_deg").alias("deg"))
+            live = live.withColumn("stops", drawn(F.lit(step), 0) < limit).persist()
+            held.append(live)
+            ended.append(live.where("stops").groupBy("trial", "node").agg(F.count("*").alias("cnt")))
+            live = live.where("not stops").withColumn("idx", drawn(F.lit(step), 1) % F.col("deg")).join(arcs, ["node", "idx"]).select("trial", "walk", F.col("dst").alias("node"), F.col("dst_deg").alias("deg"))
             step += 1
         done = ended[0]
         for e in ended[1:]:
             done = done.unionByName(e)
         parts.append(saved(done))
         live = saved(live)
+        for x in held:
+            x.unpersist()
         if not live.limit(1).count():
             break
     out = parts[0]

@@ -12,6 +12,7 @@ from functools import partial
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import relational_queries
 from .functions import measures
 from .operators import apps, power, push, solvers, three_phase, walks
 from .operators.graph import Graph
@@ -285,8 +286,8 @@ def _alias_mass(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable]:
-    return dict(QUERIES)
+    return {**QUERIES, **relational_queries.QUERIES}
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(SQL)
+    return {**SQL, **relational_queries.SQL}
