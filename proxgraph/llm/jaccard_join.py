@@ -6,18 +6,20 @@ can still reach the threshold.
 
 1. A scan reduces each document to (id, set size, set fingerprint).  Equal sets are one *text* from
    here on, named by its fingerprint and size, so exact copies are never paired.
-2. Candidate search is complete by the pigeonhole principle.  Two linked sets differ in at most a
-   quarter of either one's size.  The (sorted) tokens are cut into hash ranges; a set emits the
-   hash of each of its first ``n // 4 + 1`` non-empty ranges, so two linked sets agree on one of
-   them at least.  The number of ranges depends on a size class, and a set emits for both pairs of
-   neighbouring classes it belongs to.  Small sets use a range per token.  If a set of a larger
-   class fills too few ranges, that class is done with a range per token as well.
+2. Candidate search is complete by counting.  Order each set's tokens by hash and take its runs of
+   ``k`` neighbours.  A token that only one set has breaks at most ``k`` of its runs, a token that
+   only the other has breaks at most ``k - 1``.  At a similarity of 0.8, ``a`` own and ``b`` foreign
+   tokens satisfy ``a + 0.8 b <= 0.2 n``, so less than ``0.2 k n + 1`` of a set's first runs are
+   broken (for k up to 4), and the set whose run of that many ends first shares one with the other.
+   Four neighbours of a passage that unrelated documents quote seldom stand together in both, so the
+   buckets stay small.  Sets too small for four use three or two.
 3. Grouping: in each bucket the text that the most buckets share is the centre; each text is
    compared with its most frequent centre.  Components of these links are the groups.
-4. Opening groups: only buckets that still hold two or more groups matter.  For each (text, other
-   group) there, the overlap with the group's token union is counted; if it is below 0.8 of the
-   text's size no member can link and the group stays closed.  Otherwise the members that share a
-   bucket with the text are compared.  Every linked pair is in one group by step 3 or is compared
+4. Opening groups: only buckets that still hold two or more groups matter.  The matrix has, for each
+   group, its token union as counts over hashed token columns (the largest count of any member).  The
+   sum of column minima bounds a text's overlap with every member; if it can't reach the threshold the
+   group stays closed.  Otherwise the members that share a bucket with the text are compared, after
+   the same bound on the pair itself.  Every linked pair is in one group by step 3 or is compared
    here, so no link is lost.
 5. Components of all links give the result, as the smallest id of each.
 
@@ -27,22 +29,22 @@ Repeated ids are handled row by row; ties do not matter (the result does not dep
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from .common import arrow_map, blocks, join_bounded, mix, saved, signed, word_hashes
 
 SHINGLE = 5
 _ODD = mix(np.arange(11, 11 + SHINGLE, dtype=np.uint64)) | np.uint64(1)
-#: Sets under this size have a range per token.
-SMALL = 64
-#: Ranges per token of the smallest size in a pair of classes.
-RANGES = 0.6
+#: (neighbours in a run, smallest set, sets from this size on don't need it).  Linked sets differ in
+#: size by a quarter at most, so both of a pair are in one line at least; sets of one to three tokens
+#: link with equal sets only.
+RUNS = ((4, 20, None), (3, 8, 32), (2, 4, 12))
 
 
 def shingle_sets(raw: np.ndarray, offs: np.ndarray, shingle: int = SHINGLE) -> list[np.ndarray]:
@@ -71,48 +73,89 @@ def fingerprint(s: np.ndarray) -> int:
     return v - (1 << 64) if v >> 63 else v
 
 
-def size_class(n: int) -> int:
-    return int(math.floor(math.log(n) / math.log(1.25) + 1e-9))
+def signatures(s: np.ndarray) -> np.ndarray:
+    """Hashes of the first runs of neighbours of a sorted set."""
+    n, out = len(s), [np.zeros(0, np.uint64)]
+    for k, least, end in RUNS:
+        if n < least or end is not None and n >= end:
+            continue
+        need = n * k // 5 + 1
+        own = s[:need] * _ODD[0]
+        for j in range(1, k):
+            own = own + s[j : need + j] * _ODD[j]
+        out.append(mix(own + np.uint64(k)))
+    return np.concatenate(out)
 
 
-def _ranges(pair: int, fine: frozenset) -> int:
-    low = math.ceil(1.25**pair)
-    return 1 << 32 if low < SMALL or pair in fine else int(RANGES * low)
+def sketch(s: np.ndarray) -> bytes:
+    """Counts of a set's tokens over hashed columns, about two tokens a column."""
+    width = 1 << max(4, min(13, (len(s) // 2).bit_length()))
+    return np.minimum(np.bincount((s & np.uint64(width - 1)).astype(np.int64), minlength=width), 255).astype(np.uint8).tobytes()
 
 
-def signatures(s: np.ndarray, fine: frozenset) -> tuple[np.ndarray, list[int]]:
-    """Range hashes for both pairs of classes, and the pairs in which there are too few ranges."""
-    n = len(s)
-    need, out, short = n // 4 + 1, [], []
-    high, mixed, c = s >> np.uint64(32), mix(s + np.uint64(0x1234567)), size_class(n)
-    for pair in (c - 1, c):
-        count = _ranges(pair, fine)
-        part = (high * np.uint64(count)) >> np.uint64(32)
-        starts = np.flatnonzero(np.concatenate(([True], part[1:] != part[:-1])))
-        if len(starts) < need:
-            short.append(pair)
-        first = starts[:need]
-        stop = starts[need] if len(starts) > need else n
-        sums = np.add.reduceat(mixed[:stop], first) + part[first] * np.uint64(0x9E3779B97F4A7C15) + np.uint64((pair + 2) * 0xC2B2AE3D27D4EB4F & (1 << 64) - 1)
-        out.append(mix(sums))
-    return np.concatenate(out), short
+def _fold(x: np.ndarray, width: int) -> np.ndarray:
+    """Counts over fewer columns."""
+    return x.reshape(-1, width).sum(0) if len(x) > width else x
+
+
+def overlap_bound(a: bytes, b: bytes) -> int:
+    """No less than the overlap of the two sets (or of one with any member of a group)."""
+    x, y = np.frombuffer(a, np.uint8), np.frombuffer(b, np.uint8)
+    if (x == 255).any() or (y == 255).any():  # a full count says nothing
+        return 1 << 60
+    width = min(len(x), len(y))
+    return int(np.minimum(_fold(x.astype(np.int64), width), _fold(y.astype(np.int64), width)).sum())
+
+
+def _reachable(threshold: int):
+    """Rows whose bound on the overlap can reach the threshold; ``m`` is the other's least size."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = zip(batch.column("n").to_pylist(), batch.column("m").to_pylist(), batch.column("x").to_pylist(), batch.column("y").to_pylist(), strict=True)
+            # overlap >= t (n + m) / (100 + t), and overlap >= t n / 100
+            good = [overlap_bound(x, y) * (100 + threshold) >= threshold * (n + m) for n, m, x, y in rows]
+            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], names=["a", "b"]).filter(pa.array(good, pa.bool_()))
+
+    return run
+
+
+def _merge_sketches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(grp, x) with the largest counts of neighbouring rows of a group; rows come ordered by group."""
+    held: tuple[int, np.ndarray] | None = None
+
+    def row(g: int, x: np.ndarray) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([g], pa.int64()), pa.array([np.minimum(x, 255).astype(np.uint8).tobytes()], pa.binary())], names=["grp", "x"])
+
+    for batch in batches:
+        for g, raw in zip(batch.column("grp").to_pylist(), batch.column("x").to_pylist(), strict=True):
+            x = np.frombuffer(raw, np.uint8).astype(np.int64)
+            if held is not None and held[0] == g:
+                width = min(len(x), len(held[1]))
+                held = (g, np.maximum(_fold(x, width), _fold(held[1], width)))
+                continue
+            if held is not None:
+                yield row(*held)
+            held = (g, x)
+    if held is not None:
+        yield row(*held)
 
 
 def _profile(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            n, fp, short = [], [], []
+            n, fp, marks = [], [], []
             for _, _, raw, offs in blocks(batch.column("body")):
                 for s in shingle_sets(raw, offs, shingle):
                     n.append(len(s))
                     fp.append(fingerprint(s) if len(s) else None)
-                    short.append(signatures(s, frozenset())[1] if len(s) else [])
-            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(n, pa.int64()), pa.array(fp, pa.int64()), pa.array(short, pa.list_(pa.int32()))], names=["id", "n", "fp", "short"])
+                    marks.append(sketch(s) if len(s) else None)
+            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(n, pa.int64()), pa.array(fp, pa.int64()), pa.array(marks, pa.binary())], names=["id", "n", "fp", "x"])
 
     return run
 
 
-def _emit(shingle: int, fine: frozenset):
+def _emit(shingle: int):
     """(sig, fp, n) of each distinct set of a task's recent rows."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -126,7 +169,7 @@ def _emit(shingle: int, fine: frozenset):
                     if len(seen) >= 200_000:
                         seen.clear()
                     seen.add(key)
-                    own = signatures(s, fine)[0]
+                    own = signatures(s)
                     sig.append(own)
                     fps.append(np.full(len(own), key[0], np.int64))
                     ns.append(np.full(len(own), key[1], np.int32))
@@ -174,44 +217,58 @@ def near_duplicates(docs: DataFrame, threshold: int = 80, shingle: int = SHINGLE
     if not 80 <= threshold <= 100:
         raise ValueError("the candidate search is complete for thresholds from 80 to 100 (per cent)")
     body = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").cast("binary").alias("body"))
-    seen = saved(arrow_map(body, _profile(shingle), "id long, n long, fp long, short array<int>"))
-    fine = frozenset(r[0] for r in seen.select(F.explode("short")).distinct().collect())  # size classes: about ten per decade
-    real = seen.where("id is not null and n > 0")
+    seen = saved(arrow_map(body, _profile(shingle), "id long, n long, fp long, x binary"))
+    texts = saved(seen.where("id is not null and n > 0").groupBy("fp").agg(F.min("id").alias("id"), F.first("n").alias("n"), F.first("x").alias("x")))
 
-    sigs = arrow_map(body.where("id is not null").select("body"), _emit(shingle, fine), "sig long, fp long, n int").repartition("sig")
-    multi = sigs.groupBy("sig").agg(F.min("fp").alias("lo"), F.max("fp").alias("hi"), F.count("*").alias("held")).where("lo < hi").select("sig", "held")
-    bucket = saved(sigs.join(multi.hint("shuffle_hash"), "sig").distinct())
+    sigs = arrow_map(body.where("id is not null").select("body"), _emit(shingle), "sig long, fp long, n int").repartition("sig")
+    own = Window.partitionBy("sig")
+    bucket = sigs.withColumn("lo", F.min("fp").over(own)).withColumn("hi", F.max("fp").over(own)).where("lo < hi").select("sig", "fp", "n").distinct()
+    bucket = saved(bucket)
 
-    weight = bucket.groupBy("fp").agg(F.sum("held").alias("weight"))
+    held = bucket.groupBy("sig").agg(F.count("*").alias("held"))
+    weight = bucket.join(held, "sig").groupBy("fp").agg(F.sum("held").alias("weight"))
     ranked = bucket.join(weight, "fp")
     centre = ranked.groupBy("sig").agg(F.max_by("fp", F.struct("weight", "fp")).alias("centre"))
-    star = saved(bucket.join(centre, "sig").groupBy("fp", "centre").agg(F.count("*").alias("shared")).groupBy("fp").agg(F.max_by("centre", F.struct(F.when(F.col("fp") != F.col("centre"), F.col("shared")).otherwise(0), F.col("centre"))).alias("centre")))
-
-    # the sets of all texts that share a bucket, each from the first document that has it
-    wanted = saved(real.groupBy("fp").agg(F.min("id").alias("id")).join(weight.select("fp"), "fp", "left_semi"))
-    rows = wanted.count()
-    sets = saved(arrow_map(join_bounded(body, wanted, "id", "inner", rows).select("fp", "body"), _sets(shingle), "fp long, toks array<long>").dropDuplicates(["fp"]))
+    star = bucket.join(centre, "sig").where("fp <> centre").groupBy("fp", "centre").agg(F.count("*").alias("shared"))
+    star = star.groupBy("fp").agg(F.max_by("centre", F.struct("shared", "centre")).alias("centre"))
+    mark = texts.select("fp", "n", "x")
+
+    def reach(pairs: DataFrame) -> DataFrame:
+        """Pairs (a, b) of texts that the bound leaves."""
+        full = pairs.join(mark.withColumnsRenamed({"fp": "a"}), "a").join(mark.withColumnsRenamed({"fp": "b", "n": "m", "x": "y"}), "b").where("80 * n <= 100 * m and 80 * m <= 100 * n")
+        return saved(arrow_map(full.select("a", "b", "n", "m", "x", "y"), _reachable(threshold), "a long, b long"))
+
+    def links(pairs: DataFrame) -> DataFrame:
+        """Pairs that are linked, by their whole sets; only the texts of these pairs are read again."""
+        texts_in = pairs.select(F.col("a").alias("fp")).union(pairs.select("b")).distinct()
+        wanted = saved(texts.select("fp", "id").join(texts_in, "fp", "left_semi"))
+        rows = arrow_map(join_bounded(body, wanted, "id", "inner", wanted.count()).select("fp", "body"), _sets(shingle), "fp long, toks array<long>")
+        sets = saved(rows.dropDuplicates(["fp"]))
+        both = pairs.join(sets.withColumnsRenamed({"fp": "a"}), "a").join(sets.withColumnsRenamed({"fp": "b", "toks": "core"}), "b")
+        return saved(both.where(_linked(threshold, "toks", "core")).select("a", "b"))
+
+    first = links(reach(star.select(F.col("fp").alias("a"), F.col("centre").alias("b"))))
+    group = components(first)
+
+    placed = bucket.join(group, F.col("fp") == F.col("node"), "left").select("sig", "fp", "n", F.coalesce("root", "fp").alias("grp"))
+    placed = saved(placed)
+    several = placed.groupBy("sig").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo < hi").select("sig")
+    left = saved(placed.join(several, "sig"))
+    by_group = left.groupBy("sig", "grp").agg(F.min("n").alias("least"), F.max("n").alias("most")).withColumnRenamed("grp", "other")
+    asks = left.join(by_group, "sig").where("grp <> other and 100 * n >= 80 * least and 80 * n <= 100 * most")
+    asks = saved(asks.groupBy(F.col("fp").alias("a"), F.col("other").alias("b")).agg(F.min("least").cast("long").alias("m")))
 
-    mine = sets.join(star.where("fp <> centre"), "fp")
-    heart = sets.select(F.col("fp").alias("centre"), F.col("toks").alias("core"))
-    links = saved(mine.join(heart, "centre").where(_linked(threshold, "toks", "core")).select(F.col("fp").alias("a"), F.col("centre").alias("b")))
-    group = components(links)
+    # the matrix: column counts of each group that is asked for, merged in parts first
+    inside = placed.select("fp", "grp").distinct().join(asks.select(F.col("b").alias("grp")).distinct(), "grp", "left_semi").join(mark, "fp").select("grp", "x", F.pmod("fp", F.lit(64)).alias("part"))
+    parts = arrow_map(inside.repartition("grp", "part").sortWithinPartitions("grp", "part").select("grp", "x"), _merge_sketches, "grp long, x binary")
+    matrix = arrow_map(parts.repartition("grp").sortWithinPartitions("grp"), _merge_sketches, "grp long, x binary")
+    full = asks.join(mark.withColumnsRenamed({"fp": "a"}), "a").join(matrix.withColumnsRenamed({"grp": "b", "x": "y"}), "b")
+    opens = saved(arrow_map(full.select("a", "b", "n", F.greatest(F.col("m"), F.ceil(F.col("n") * 0.8)).alias("m"), "x", "y"), _reachable(threshold), "a long, b long"))
 
-    placed = saved(bucket.join(group, F.col("fp") == F.col("node"), "left").select("sig", "fp", "n", F.coalesce("root", "fp").alias("grp")))
-    opened = placed.groupBy("sig").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo < hi").select("sig")
-    left = saved(placed.join(opened, "sig"))
-    by_group = left.groupBy("sig", "grp").agg(F.min("n").alias("least"), F.max("n").alias("most")).withColumnRenamed("grp", "other")
-    asks = saved(left.join(by_group, "sig").where("grp <> other and 100 * n >= 80 * least and 80 * n <= 100 * most").select("fp", "n", "grp", "other").distinct())
-    tokens = sets.select("fp", F.explode("toks").alias("tok"))
-    union = tokens.join(placed.select("fp", "grp").distinct().join(asks.select(F.col("other").alias("grp")).distinct(), "grp", "left_semi"), "fp").select("grp", "tok").distinct()
-    union = union.groupBy("grp").agg(F.collect_list("tok").alias("all_toks"))
-    query = asks.join(sets, "fp")
-    bound = query.join(union.withColumnRenamed("grp", "other"), "other").where(100 * F.size(F.array_intersect("toks", "all_toks")) >= threshold * F.col("n"))
-    opens = saved(bound.select("fp", "other"))
+    asker = left.join(opens, F.col("fp") == F.col("a")).select("sig", "fp", "n", F.col("b").alias("other"))
     member = left.select("sig", F.col("fp").alias("peer"), F.col("grp").alias("other"), F.col("n").alias("peer_n"))
-    pairs = left.join(opens, "fp").join(member, ["sig", "other"]).where("100 * n >= 80 * peer_n and 80 * n <= 100 * peer_n and fp <> peer").select(F.least("fp", "peer").alias("a"), F.greatest("fp", "peer").alias("b")).distinct()
-    found = pairs.join(sets.select(F.col("fp").alias("a"), "toks"), "a").join(sets.select(F.col("fp").alias("b"), F.col("toks").alias("core")), "b").where(_linked(threshold, "toks", "core")).select("a", "b")
-    final = components(links.union(saved(found)))
+    pairs = asker.join(member, ["sig", "other"]).where("100 * n >= 80 * peer_n and 80 * n <= 100 * peer_n").select(F.least("fp", "peer").alias("a"), F.greatest("fp", "peer").alias("b")).distinct()
+    final = components(saved(first.union(links(reach(pairs)))))
 
     named = seen.join(final, F.col("fp") == F.col("node"), "left").select("id", "n", F.coalesce("root", "fp").alias("root"))
     least = named.where("id is not null and root is not null").groupBy("root").agg(F.min("id").alias("component_id"))
