@@ -19,6 +19,8 @@ from ..storage import saved
 from . import kernels
 from .graph import Graph
 
+#: Arc touches that one task may do alone.
+SMALL_BUDGET = 5_000_000
 STATE = "target long, node long, reserve double, residue double"
 
 
@@ -47,6 +49,8 @@ def _reverse_kernel(graph: Graph, cands: DataFrame, p: PprParams, budget: float,
         held = resume.groupBy("target").agg(F.collect_list(F.struct("node", "reserve", "residue")).alias("held"))
         rows = rows.join(held, "target", "left")
 
+    spent = [0]  # of this task: the budget is for all its targets together
+
     def run(row):
         csr = adjacency.value
         state = None
@@ -57,14 +61,16 @@ def _reverse_kernel(graph: Graph, cands: DataFrame, p: PprParams, budget: float,
             residue[at] = [h["residue"] for h in row["held"]]
             state = (reserve, residue)
         at = int(csr.place(np.array([row["target"]]))[0])
-        reserve, residue, cost, rounds, within = kernels.reverse_push(csr, at, row["theta"], p.alpha, budget, state, p.max_rounds)
+        reserve, residue, cost, rounds, within = kernels.reverse_push(csr, at, row["theta"], p.alpha, budget - spent[0], state, p.max_rounds)
+        spent[0] = spent[0] + cost if within else float("inf")
         on = np.flatnonzero((reserve > 0) | (residue > 0))
         kinds = [pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.int64(), pa.int64(), pa.bool_()]
         names = ["target", "node", "reserve", "residue", "cost", "rounds", "within"]
         yield kernels.sparse_rows(names, kinds, [np.full(len(on), row["target"]), csr.ids[on], reserve[on], residue[on], [None] * len(on), [None] * len(on), [None] * len(on)])
         yield kernels.sparse_rows(names, kinds, [[row["target"]], [None], [None], [None], [cost], [rounds], [within]])
 
-    tasks = rows.repartition(max(1, graph.spark.sparkContext.defaultParallelism), "target")
+    # under a small budget one task takes all targets, so that it is not overshot by each of many
+    tasks = rows.repartition(1 if budget < SMALL_BUDGET else max(1, graph.spark.sparkContext.defaultParallelism), "target")
     out = saved(tasks.mapInArrow(kernels.each_row(run), f"{STATE}, cost long, rounds long, within boolean"))
     t = out.where("cost is not null").agg(F.coalesce(F.sum("cost"), F.lit(0)), F.coalesce(F.max("rounds"), F.lit(0)), F.coalesce(F.min(F.col("within").cast("int")), F.lit(1))).first()
     within = bool(t[2]) and t[0] <= budget

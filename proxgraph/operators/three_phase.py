@@ -46,12 +46,14 @@ class SolveReport:
     attempts: list[Attempt] = field(default_factory=list)
     alpha: float = 0.2
     fallback: bool = False
+    resumed: bool = False
     touched_nodes: int = 0
 
     @property
     def push_cost(self) -> int:
-        """Of the accepted push."""
-        return next((a.cost for a in reversed(self.attempts) if a.accepted), 0)
+        """Of the accepted push; in parts if it was resumed."""
+        accepted = [a.cost for a in self.attempts if a.accepted]
+        return sum(accepted) if self.resumed else (accepted or [0])[-1]
 
     @property
     def tried_cost(self) -> int:
@@ -102,7 +104,7 @@ def search(graph: Graph, cands: DataFrame, first: int, trials: int, p: PprParams
         resume = state if p.mode == "resume" else None
         base = spent if resume is not None else 0
         got, trace = push.reverse(graph, thresholds(cands, half, p), p, budget - base, resume)
-        report.attempts.append(Attempt(half, base + trace.cost, trace.rounds, trace.within))
+        report.attempts.append(Attempt(half, trace.cost, trace.rounds, trace.within))
         if not trace.within:
             break
         count, state, spent = half, got, base + trace.cost
@@ -128,7 +130,7 @@ def run(graph: Graph, source, tol: float, p: PprParams, degree_norm: bool = Fals
     if degree_norm and graph.directed:
         raise ValueError("degree-normalised errors are defined on undirected graphs only")
     s = graph.stats
-    report = SolveReport(n=s["n"], m=s["m"], alpha=p.alpha, trials=p.trials(s["n"]))
+    report = SolveReport(n=s["n"], m=s["m"], alpha=p.alpha, trials=p.trials(s["n"]), resumed=p.mode == "resume")
     deg = graph.nodes.select(F.col("id").alias("node"), F.col("out_deg").alias("deg"))
     if given is None:
         report.phase1_walks = p.phase1_walks(s["n"], tol * s["dmin"] if degree_norm else tol)
