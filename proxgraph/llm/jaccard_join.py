@@ -18,8 +18,9 @@ can still reach the threshold.
 4. Opening groups: only buckets that still hold two or more groups matter.  The matrix has, for each
    group, its token union as counts over hashed token columns (the largest count of any member).  The
    sum of column minima bounds a text's overlap with every member; if it can't reach the threshold the
-   group stays closed.  Otherwise the members that share a bucket with the text are compared, after
-   the same bound on the pair itself.  Every linked pair is in one group by step 3 or is compared
+   group stays closed.  The bound is taken over a few columns inside the bucket join, then over about
+   half as many columns as tokens.  The members of open groups that share a bucket with the text are
+   compared, after the same bound on the pair itself.  Every linked pair is in one group by step 3 or is compared
    here, so no link is lost.
 5. Components of all links give the result, as the smallest id of each.
 
@@ -47,6 +48,10 @@ _ODD = mix(np.arange(11, 11 + SHINGLE, dtype=np.uint64)) | np.uint64(1)
 RUNS = ((4, 20, None), (3, 8, 32), (2, 4, 12))
 
 
+#: Token columns of the bound that is taken inside the bucket join.
+COARSE = 64
+
+
 def shingle_sets(raw: np.ndarray, offs: np.ndarray, shingle: int = SHINGLE) -> list[np.ndarray]:
     """The sorted distinct shingle hashes of each document of a block."""
     w, at = word_hashes(raw, offs, True)
@@ -93,6 +98,12 @@ def sketch(s: np.ndarray) -> bytes:
     return np.minimum(np.bincount((s & np.uint64(width - 1)).astype(np.int64), minlength=width), 255).astype(np.uint8).tobytes()
 
 
+def coarse(s: np.ndarray) -> np.ndarray | None:
+    """Counts over ``COARSE`` columns for the bound inside a join; None where a count is too large."""
+    held = np.bincount((s & np.uint64(COARSE - 1)).astype(np.int64), minlength=COARSE)
+    return held.astype(np.int8) if held.max() < 127 else None
+
+
 def _fold(x: np.ndarray, width: int) -> np.ndarray:
     """Counts over fewer columns."""
     return x.reshape(-1, width).sum(0) if len(x) > width else x
@@ -144,13 +155,14 @@ def _merge_sketches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatc
 def _profile(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            n, fp, marks = [], [], []
+            n, fp, marks, columns = [], [], [], []
             for _, _, raw, offs in blocks(batch.column("body")):
                 for s in shingle_sets(raw, offs, shingle):
                     n.append(len(s))
                     fp.append(fingerprint(s) if len(s) else None)
                     marks.append(sketch(s) if len(s) else None)
-            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(n, pa.int64()), pa.array(fp, pa.int64()), pa.array(marks, pa.binary())], names=["id", "n", "fp", "x"])
+                    columns.append(coarse(s) if len(s) else None)
+            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(n, pa.int64()), pa.array(fp, pa.int64()), pa.array(marks, pa.binary()), pa.array(columns, pa.list_(pa.int8()))], names=["id", "n", "fp", "x", "c"])
 
     return run
 
@@ -217,8 +229,8 @@ def near_duplicates(docs: DataFrame, threshold: int = 80, shingle: int = SHINGLE
     if not 80 <= threshold <= 100:
         raise ValueError("the candidate search is complete for thresholds from 80 to 100 (per cent)")
     body = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").cast("binary").alias("body"))
-    seen = saved(arrow_map(body, _profile(shingle), "id long, n long, fp long, x binary"))
-    texts = saved(seen.where("id is not null and n > 0").groupBy("fp").agg(F.min("id").alias("id"), F.first("n").alias("n"), F.first("x").alias("x")))
+    seen = saved(arrow_map(body, _profile(shingle), "id long, n long, fp long, x binary, c array<tinyint>"))
+    texts = saved(seen.where("id is not null and n > 0").groupBy("fp").agg(F.min("id").alias("id"), F.first("n").alias("n"), F.first("x").alias("x"), F.first("c").alias("c")))
 
     sigs = arrow_map(body.where("id is not null").select("body"), _emit(shingle), "sig long, fp long, n int").repartition("sig")
     own = Window.partitionBy("sig")
@@ -253,9 +265,14 @@ def near_duplicates(docs: DataFrame, threshold: int = 80, shingle: int = SHINGLE
     placed = bucket.join(group, F.col("fp") == F.col("node"), "left").select("sig", "fp", "n", F.coalesce("root", "fp").alias("grp"))
     placed = saved(placed)
     several = placed.groupBy("sig").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo < hi").select("sig")
-    left = saved(placed.join(several, "sig"))
-    by_group = left.groupBy("sig", "grp").agg(F.min("n").alias("least"), F.max("n").alias("most")).withColumnRenamed("grp", "other")
-    asks = left.join(by_group, "sig").where("grp <> other and 100 * n >= 80 * least and 80 * n <= 100 * most")
+    left = saved(placed.join(several, "sig").join(texts.select("fp", "c"), "fp"))
+    # the matrix by bucket: a group's largest count in each of a few columns, its union inside the bucket
+    size = [F.min("n").alias("least"), F.max("n").alias("most")]
+    union = F.when(F.max(F.col("c").isNull()), None).otherwise(F.array(*(F.max(F.col("c")[i]) for i in range(COARSE)))).alias("union")
+    by_group = left.groupBy("sig", "grp").agg(*size, union).withColumnRenamed("grp", "other")
+    bound = F.aggregate(F.zip_with("c", "union", lambda x, y: F.least(x, y).cast("int")), F.lit(0), lambda t, v: t + v)
+    most_needed = threshold * (F.col("n") + F.greatest(F.col("least").cast("double"), 0.8 * F.col("n")))
+    asks = left.join(by_group, "sig").where("grp <> other and 100 * n >= 80 * least and 80 * n <= 100 * most").where(F.coalesce((100 + threshold) * bound >= most_needed, F.lit(True)))
     asks = saved(asks.groupBy(F.col("fp").alias("a"), F.col("other").alias("b")).agg(F.min("least").cast("long").alias("m")))
 
     # the matrix: column counts of each group that is asked for, merged in parts first
