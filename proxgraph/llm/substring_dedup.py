@@ -101,7 +101,7 @@ def _windows(width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids, shared = batch.column("id").to_numpy(zero_copy_only=False), batch.column("shared")
-            cols: list[list[np.ndarray]] = [[], [], [], [], []]
+            cols: list[list[np.ndarray]] = [[], [], [], [], [], []]
             for i, packed in enumerate(batch.column("body").to_pylist()):
                 w, _ = _words(zlib.decompress(packed))
                 if len(w) < width:
@@ -111,10 +111,17 @@ def _windows(width: int):
                 if not len(at):
                     continue
                 h1, h2 = mix(_grams(w, width))[at], mix(_grams(mix(w ^ _SECOND), width))[at]
-                for c, v in zip(cols, (signed(h1), signed(h2), np.full(len(at), ids[i], np.int64), np.full(len(at), _fingerprint(w)[0], np.int64), at.astype(np.int32)), strict=True):
+                # a window that stands several times in the document is one row
+                order = np.lexsort((h2, h1))
+                h1, h2, at = h1[order], h2[order], at[order]
+                head = np.flatnonzero(np.concatenate(([True], (h1[1:] != h1[:-1]) | (h2[1:] != h2[:-1]))))
+                sizes = np.diff(np.concatenate((head, [len(at)])))
+                for c, v in zip(cols, (signed(h1[head]), signed(h2[head]), np.full(len(head), ids[i], np.int64), np.full(len(head), _fingerprint(w)[0], np.int64), sizes, at.astype(np.int32)), strict=True):
                     c.append(v)
             if cols[0]:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], names=["h1", "h2", "id", "fp1", "start"])
+                *keys, sizes, starts = (np.concatenate(c) for c in cols)
+                lists = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(sizes))), pa.int32()), pa.array(starts))
+                yield pa.RecordBatch.from_arrays([*(pa.array(k) for k in keys), lists], names=["h1", "h2", "id", "fp1", "starts"])
 
     return run
 
@@ -163,10 +170,10 @@ def removal_intervals(docs: DataFrame, width: int = 50, id_col: str = "doc_id",
     shared = saved(alone.join(hot, "anchor").groupBy("id").agg(F.collect_set("anchor").alias("shared")))
     # both joins with the texts are shuffles at any size: neither side has a proven bound
     texts = arrow_map(body.where("id is not null"), _pack, "id long, body binary")
-    windows = arrow_map(texts.join(shared.hint("merge"), "id"), _windows(width), "h1 long, h2 long, id long, fp1 long, start int")
+    windows = arrow_map(texts.join(shared.hint("merge"), "id"), _windows(width), "h1 long, h2 long, id long, fp1 long, starts array<int>")
     own = Window.partitionBy("h1", "h2")
     later = windows.withColumn("owner", F.min("id").over(own)).where("id > owner")
-    parts = later.groupBy("id", "fp1").agg(F.collect_set("start").alias("starts")).withColumn("whole", F.lit(False))
+    parts = later.groupBy("id", "fp1").agg(F.flatten(F.collect_list("starts")).alias("starts")).withColumn("whole", F.lit(False))
     whole = copies.select("id", "fp1", F.array().cast("array<int>").alias("starts"), F.lit(True).alias("whole")).distinct()
     return parts.unionByName(whole).groupBy("id").agg(F.collect_list(F.struct("fp1", "starts", "whole")).alias("cuts"))
 
