@@ -49,7 +49,8 @@ RUNS = ((4, 20, None), (3, 8, 32), (2, 4, 12))
 
 
 #: Token columns of the bound that is taken inside the bucket join.
-COARSE = 64
+COARSE = 32
+PACKED = tuple(f"q{w}" for w in range(COARSE // 8))
 
 
 def shingle_sets(raw: np.ndarray, offs: np.ndarray, shingle: int = SHINGLE) -> list[np.ndarray]:
@@ -98,10 +99,35 @@ def sketch(s: np.ndarray) -> bytes:
     return np.minimum(np.bincount((s & np.uint64(width - 1)).astype(np.int64), minlength=width), 255).astype(np.uint8).tobytes()
 
 
-def coarse(s: np.ndarray) -> np.ndarray | None:
-    """Counts over ``COARSE`` columns for the bound inside a join; None where a count is too large."""
+def coarse(s: np.ndarray) -> list[int | None]:
+    """Counts over ``COARSE`` columns, eight to a number of 64 bits; Nones where a count is too large."""
     held = np.bincount((s & np.uint64(COARSE - 1)).astype(np.int64), minlength=COARSE)
-    return held.astype(np.int8) if held.max() < 127 else None
+    return held.astype(np.uint8).view(np.int64).tolist() if held.max() < 128 else [None] * len(PACKED)
+
+
+def _column(packed: str, i: int):
+    return F.shiftright(F.col(packed), 8 * i).bitwiseAND(F.lit(127))
+
+
+def _union(null_of: str):
+    """Packed largest counts of a group."""
+    out = []
+    for q in PACKED:
+        parts = [F.shiftleft(F.max(_column(q, i)), 8 * i) for i in range(8)]
+        whole = parts[0]
+        for x in parts[1:]:
+            whole = whole.bitwiseOR(x)
+        out.append(F.when(F.max(F.col(null_of).isNull()), None).otherwise(whole).alias(f"u{q}"))
+    return out
+
+
+def _bound():
+    """Sum of column minima of packed counts and packed union; null if either is."""
+    terms = [F.least(_column(q, i), _column(f"u{q}", i)) for q in PACKED for i in range(8)]
+    out = terms[0]
+    for t in terms[1:]:
+        out = out + t
+    return out
 
 
 def _fold(x: np.ndarray, width: int) -> np.ndarray:
@@ -161,8 +187,8 @@ def _profile(shingle: int):
                     n.append(len(s))
                     fp.append(fingerprint(s) if len(s) else None)
                     marks.append(sketch(s) if len(s) else None)
-                    columns.append(coarse(s) if len(s) else None)
-            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(n, pa.int64()), pa.array(fp, pa.int64()), pa.array(marks, pa.binary()), pa.array(columns, pa.list_(pa.int8()))], names=["id", "n", "fp", "x", "c"])
+                    columns.append(coarse(s) if len(s) else [None] * len(PACKED))
+            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(n, pa.int64()), pa.array(fp, pa.int64()), pa.array(marks, pa.binary()), *(pa.array([c[w] for c in columns], pa.int64()) for w in range(len(PACKED)))], names=["id", "n", "fp", "x", *PACKED])
 
     return run
 
@@ -229,8 +255,8 @@ def near_duplicates(docs: DataFrame, threshold: int = 80, shingle: int = SHINGLE
     if not 80 <= threshold <= 100:
         raise ValueError("the candidate search is complete for thresholds from 80 to 100 (per cent)")
     body = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").cast("binary").alias("body"))
-    seen = saved(arrow_map(body, _profile(shingle), "id long, n long, fp long, x binary, c array<tinyint>"))
-    texts = saved(seen.where("id is not null and n > 0").groupBy("fp").agg(F.min("id").alias("id"), F.first("n").alias("n"), F.first("x").alias("x"), F.first("c").alias("c")))
+    seen = saved(arrow_map(body, _profile(shingle), "id long, n long, fp long, x binary, " + ", ".join(f"{q} long" for q in PACKED)))
+    texts = saved(seen.where("id is not null and n > 0").groupBy("fp").agg(F.min("id").alias("id"), F.first("n").alias("n"), F.first("x").alias("x"), *(F.first(q).alias(q) for q in PACKED)))
 
     sigs = arrow_map(body.where("id is not null").select("body"), _emit(shingle), "sig long, fp long, n int").repartition("sig")
     own = Window.partitionBy("sig")
@@ -260,19 +286,20 @@ def near_duplicates(docs: DataFrame, threshold: int = 80, shingle: int = SHINGLE
         return saved(both.where(_linked(threshold, "toks", "core")).select("a", "b"))
 
     first = links(reach(star.select(F.col("fp").alias("a"), F.col("centre").alias("b"))))
-    group = components(first)
 
-    placed = bucket.join(group, F.col("fp") == F.col("node"), "left").select("sig", "fp", "n", F.coalesce("root", "fp").alias("grp"))
-    placed = saved(placed)
-    several = placed.groupBy("sig").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo < hi").select("sig")
-    left = saved(placed.join(several, "sig").join(texts.select("fp", "c"), "fp"))
+    def place(group: DataFrame) -> tuple[DataFrame, DataFrame]:
+        """Bucket rows with their group, and the buckets that hold several groups."""
+        rows = saved(bucket.join(group, F.col("fp") == F.col("node"), "left").select("sig", "fp", "n", F.coalesce("root", "fp").alias("grp")))
+        return rows, rows.groupBy("sig").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo < hi")
+
+    placed, several = place(components(first))
+    several = several.select("sig")
+    left = saved(placed.join(several, "sig").join(texts.select("fp", *PACKED), "fp"))
     # the matrix by bucket: a group's largest count in each of a few columns, its union inside the bucket
     size = [F.min("n").alias("least"), F.max("n").alias("most")]
-    union = F.when(F.max(F.col("c").isNull()), None).otherwise(F.array(*(F.max(F.col("c")[i]) for i in range(COARSE)))).alias("union")
-    by_group = left.groupBy("sig", "grp").agg(*size, union).withColumnRenamed("grp", "other")
-    bound = F.aggregate(F.zip_with("c", "union", lambda x, y: F.least(x, y).cast("int")), F.lit(0), lambda t, v: t + v)
+    by_group = left.groupBy("sig", "grp").agg(*size, *_union(PACKED[0])).withColumnRenamed("grp", "other")
     most_needed = threshold * (F.col("n") + F.greatest(F.col("least").cast("double"), 0.8 * F.col("n")))
-    asks = left.join(by_group, "sig").where("grp <> other and 100 * n >= 80 * least and 80 * n <= 100 * most").where(F.coalesce((100 + threshold) * bound >= most_needed, F.lit(True)))
+    asks = left.join(by_group, "sig").where("grp <> other and 100 * n >= 80 * least and 80 * n <= 100 * most").where(F.coalesce((100 + threshold) * _bound() >= most_needed, F.lit(True)))
     asks = saved(asks.groupBy(F.col("fp").alias("a"), F.col("other").alias("b")).agg(F.min("least").cast("long").alias("m")))
 
     # the matrix: column counts of each group that is asked for, merged in parts first
@@ -282,9 +309,12 @@ def near_duplicates(docs: DataFrame, threshold: int = 80, shingle: int = SHINGLE
     full = asks.join(mark.withColumnsRenamed({"fp": "a"}), "a").join(matrix.withColumnsRenamed({"grp": "b", "x": "y"}), "b")
     opens = saved(arrow_map(full.select("a", "b", "n", F.greatest(F.col("m"), F.ceil(F.col("n") * 0.8)).alias("m"), "x", "y"), _reachable(threshold), "a long, b long"))
 
-    asker = left.join(opens, F.col("fp") == F.col("a")).select("sig", "fp", "n", F.col("b").alias("other"))
-    member = left.select("sig", F.col("fp").alias("peer"), F.col("grp").alias("other"), F.col("n").alias("peer_n"))
-    pairs = asker.join(member, ["sig", "other"]).where("100 * n >= 80 * peer_n and 80 * n <= 100 * peer_n").select(F.least("fp", "peer").alias("a"), F.greatest("fp", "peer").alias("b")).distinct()
+    # each asker meets the members of its open groups, under the bound over a few columns
+    asker = opens.join(texts.select(F.col("fp").alias("a"), "n", *PACKED), "a")
+    member = left.select("fp", "grp").distinct().join(texts.select("fp", F.col("n").alias("m"), *(F.col(q).alias(f"u{q}") for q in PACKED)), "fp").select(F.col("grp").alias("b"), F.col("fp").alias("peer"), "m", *(f"u{q}" for q in PACKED))
+    enough = F.coalesce((100 + threshold) * _bound() >= threshold * (F.col("n") + F.col("m")), F.lit(True))
+    pairs = asker.join(member, "b").where("100 * n >= 80 * m and 80 * n <= 100 * m").where(enough)
+    pairs = pairs.select(F.least("a", "peer").alias("x"), F.greatest("a", "peer").alias("y")).distinct().select(F.col("x").alias("a"), F.col("y").alias("b"))
     final = components(saved(first.union(links(reach(pairs)))))
 
     named = seen.join(final, F.col("fp") == F.col("node"), "left").select("id", "n", F.coalesce("root", "fp").alias("root"))
