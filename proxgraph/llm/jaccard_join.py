@@ -299,7 +299,9 @@ def near_duplicates(docs: DataFrame, threshold: int = 80, shingle: int = SHINGLE
     size = [F.min("n").alias("least"), F.max("n").alias("most")]
     by_group = left.groupBy("sig", "grp").agg(*size, *_union(PACKED[0])).withColumnRenamed("grp", "other")
     most_needed = threshold * (F.col("n") + F.greatest(F.col("least").cast("double"), 0.8 * F.col("n")))
-    asks = left.join(by_group, "sig").where("grp <> other and 100 * n >= 80 * least and 80 * n <= 100 * most").where(F.coalesce((100 + threshold) * _bound() >= most_needed, F.lit(True)))
+    # a linked pair is open both ways, so one way is enough: labels are minima, so mostly the few texts of
+    # small groups ask large groups
+    asks = left.join(by_group, "sig").where("grp > other and 100 * n >= 80 * least and 80 * n <= 100 * most").where(F.coalesce((100 + threshold) * _bound() >= most_needed, F.lit(True)))
     asks = saved(asks.groupBy(F.col("fp").alias("a"), F.col("other").alias("b")).agg(F.min("least").cast("long").alias("m")))
 
     # the matrix: column counts of each group that is asked for, merged in parts first
