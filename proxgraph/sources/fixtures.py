@@ -98,7 +98,7 @@ def _geo_tree(spark, d):
 
 
 def _doc_word(spark, d):
-    e = table(spark, d, "documents").select("doc_id", F.explode(F.split(F.lower(F.substring("text", 1, 400)), " ")).alias("word")).where("word <> ''").distinct()
+    e = table(spark, d, "documents").select("doc_id", F.explode(F.array_distinct(F.split(F.lower("text"), " "))).alias("word")).where("word <> ''").distinct()
     return e.join(string_ids(e, "word"), "word").select((4 * F.col("doc_id")).alias("src"), (4 * F.col("num") + 1).alias("dst"))
 
 
