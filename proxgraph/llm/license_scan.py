@@ -55,7 +55,8 @@ PERMISSIVE = frozenset({"mit", "apache", "bsd", "isc", "bsl", "zlib", "cc-by", "
 
 _PRECEDENCE = {"or": 1, "and": 2, "with": 3}
 _TOKEN = re.compile(r"\(|\)|[A-Za-z0-9.+:-]+")
-_TAG_LINE = re.compile(r"(?i)spdx-license-identifier\s*:\s*([^\n\r*]{1,500})")
+_TAG = re.compile(r"(?i)spdx-license-identifier\s*:\s*")
+_LINE_END = re.compile(r"[\n\r*]|\Z")
 _WORD_BYTES = bytes((c + 32 if 65 <= c <= 90 else c) if (48 <= c <= 57 or 65 <= c <= 90 or 97 <= c <= 122 or c > 127) else 32 for c in range(256))
 
 
@@ -64,12 +65,13 @@ def family(identifier: str) -> str:
     return next((f for start, f in FAMILIES if low.startswith(start)), "other")
 
 
-def to_postfix(text: str) -> list[str] | None:
-    """Postfix form of a license expression (``with`` binds most, then ``and``, then ``or``), None if it is malformed."""
+def to_postfix(text: str, start: int = 0, end: int | None = None) -> list[str] | None:
+    """Postfix form of the license expression in text[start:end] (``with`` binds most, then ``and``, then ``or``), None if it is malformed."""
     out: list[str] = []
     waiting: list[str] = []
     operand_next = True
-    for token in _TOKEN.findall(text):
+    for found in _TOKEN.finditer(text, start, len(text) if end is None else end):
+        token = found[0]
         op = token.lower()
         if token == "(":
             if not operand_next:
@@ -100,12 +102,12 @@ def to_postfix(text: str) -> list[str] | None:
     return out + waiting[::-1]
 
 
-def evaluate(text: str) -> tuple[frozenset, bool] | None:
-    """(families named, may it be used under permissive terms) of an expression; None if malformed.
+def evaluate(text: str, start: int = 0, end: int | None = None) -> tuple[frozenset, bool] | None:
+    """(families named, may it be used under permissive terms) of the expression in text[start:end]; None if malformed.
 
     ``or`` needs one permissive side, ``and`` both; ``with`` keeps the terms of its license.
     """
-    postfix = to_postfix(text)
+    postfix = to_postfix(text, start, end)
     if not postfix:
         return None
     stack: list[tuple[frozenset, bool]] = []
@@ -133,18 +135,28 @@ def build_automaton() -> ahocorasick.Automaton:
     return found
 
 
+def tag_lines(text: str) -> Iterator[tuple[int, int]]:
+    """Where the expression behind each identifier tag starts, and where its line ends."""
+    end = -1
+    for tag in _TAG.finditer(text):
+        if tag.end() > end:
+            end = _LINE_END.search(text, tag.end()).start()
+        yield tag.end(), end
+
+
 def scan_text(text: bytes, automaton: ahocorasick.Automaton) -> tuple:
     words = text.translate(_WORD_BYTES).split()
     line = f" {b' '.join(words).decode('utf-8', 'replace')} "
-    places, base, labels, weights, permissive = [], set(), set(), {}, None
+    places, base, labels, weights, permissive, tagged = [], set(), set(), {}, None, False
     for end, (phrase, size) in automaton.iter(line):
         if phrase in BASE_PHRASES:
             places.append(line.count(" ", 0, end - size + 1))
             base.add(BASE_PHRASES[phrase])
             weights[phrase] = BASE_WEIGHT
-        elif phrase == TAG:
-            for expression in _TAG_LINE.findall(text.decode("utf-8", "replace")):
-                if (value := evaluate(expression)) is not None:
+        elif phrase == TAG and not tagged:
+            tagged, whole = True, text.decode("utf-8", "replace")
+            for start, stop in tag_lines(whole):
+                if (value := evaluate(whole, start, stop)) is not None:
                     labels |= value[0]
                     weights[TAG] = TAG_WEIGHT
                     permissive = value[1] if permissive is None else permissive and value[1]
