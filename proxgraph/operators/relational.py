@@ -44,6 +44,22 @@ def range_lookup(points: DataFrame, ranges: DataFrame, x: str, lo: str, hi: str,
     return points.withColumn("_cell", F.floor(F.col(x) * cells)).join(r, "_cell").where((F.col(x) >= F.col(lo)) & (F.col(x) < F.col(hi))).drop("_cell")
 
 
+def common_neighbours(edges: DataFrame, by: str, item: str, other: str, least: int = 2, block: int = 256) -> DataFrame:
+    """(item, other, shared): all pairs ``item < other`` that share ``least`` values of ``by`` or more.
+
+    The items of a value are dealt over blocks of about ``block`` and joined by pair of blocks, so a hot
+    value is spread over tasks.
+    """
+    e = edges.select(by, item).where(F.col(by).isNotNull() & F.col(item).isNotNull()).distinct()
+    sizes = e.groupBy(by).agg(F.ceil(F.count("*") / block).cast("int").alias("_blocks"))
+    own = e.join(sizes, by).withColumn("_own", F.pmod(F.hash(item), F.col("_blocks")))
+    dealt = own.withColumn("_with", F.explode(F.sequence(F.lit(0), F.col("_blocks") - 1)))
+    a = dealt.select(by, F.least("_own", "_with").alias("_lo"), F.greatest("_own", "_with").alias("_hi"), "_own", item)
+    b = a.select(by, "_lo", "_hi", F.col("_own").alias("_own_b"), F.col(item).alias(other))
+    met = a.join(b, [by, "_lo", "_hi"]).where((F.col(item) < F.col(other)) & ((F.col("_lo") == F.col("_hi")) | (F.col("_own") != F.col("_own_b"))))
+    return met.groupBy(item, other).agg(F.count("*").alias("shared")).where(F.col("shared") >= least)
+
+
 def cumulative(df: DataFrame, value: str, order: list[Column | str], bucket: Column) -> DataFrame:
     """Running sum of ``value`` over the whole table as ``running``, by ordered buckets.
 

@@ -81,10 +81,10 @@ def rel_range_join(spark: SparkSession, d: str) -> DataFrame:
 
 @_add("WITH e AS (SELECT DISTINCT o_custkey AS c, l_partkey AS p FROM lineitem JOIN orders ON o_orderkey = l_orderkey) SELECT a.p AS p, b.p AS q, count(*) AS shared FROM e a JOIN e b ON a.c = b.c AND a.p < b.p WHERE a.p < 20 GROUP BY 1, 2 HAVING count(*) > 1")
 def rel_common_neighbours(spark: SparkSession, d: str) -> DataFrame:
-    """Parts under 20 and parts that share two customers or more with them."""
+    """All pairs of parts that share two customers or more."""
     o = table(spark, d, "orders").select(F.col("o_orderkey").alias("l_orderkey"), F.col("o_custkey").alias("c"))
-    e = table(spark, d, "lineitem").select("l_orderkey", F.col("l_partkey").alias("p")).join(o, "l_orderkey").select("c", "p").distinct()
-    return e.where("p < 20").join(e.withColumnRenamed("p", "q"), "c").where("p < q").groupBy("p", "q").agg(F.count("*").alias("shared")).where("shared > 1")
+    e = table(spark, d, "lineitem").select("l_orderkey", F.col("l_partkey").alias("p")).join(o, "l_orderkey").select("c", "p")
+    return relational.common_neighbours(e, "c", "p", "q")
 
 
 @_add("SELECT n_regionkey AS region, c_mktsegment AS segment, count(*) AS customers, round(sum(c_acctbal), 2) AS balance FROM customer JOIN nation ON n_nationkey = c_nationkey GROUP BY ROLLUP (n_regionkey, c_mktsegment)")

@@ -1,5 +1,11 @@
 """Operators do their job over whole texts and tables: small inputs against brute force."""
 
+import random
+from collections import Counter
+from itertools import combinations
+
+from proxgraph import relational_queries
+from proxgraph.operators import relational
 from proxgraph.sources.fixtures import FIXTURES
 
 
@@ -10,3 +16,27 @@ def test_doc_word_reads_whole_texts(spark, tmp_path):
     number = {w: i for i, w in enumerate(sorted({w for _, w in pairs}), 1)}
     got = FIXTURES["doc_word"].build(spark, str(tmp_path)).collect()
     assert sorted((r.src, r.dst) for r in got) == sorted((4 * d, 4 * number[w] + 1) for d, w in pairs)
+
+
+def _shared(edges):
+    held = {}
+    for c, p in edges:
+        held.setdefault(c, set()).add(p)
+    met = Counter(x for ps in held.values() for x in combinations(sorted(ps), 2))
+    return sorted((*x, n) for x, n in met.items() if n > 1)
+
+
+def test_common_neighbours_of_all_parts(spark, tmp_path):
+    rng = random.Random(3)
+    lines = [(o, rng.randrange(60)) for o in range(40) for _ in range(6)]
+    spark.createDataFrame([(o, o % 7) for o in range(40)], "o_orderkey long, o_custkey long").write.parquet(str(tmp_path / "orders.parquet"))
+    spark.createDataFrame(lines, "l_orderkey long, l_partkey long").write.parquet(str(tmp_path / "lineitem.parquet"))
+    want = _shared({(o % 7, p) for o, p in lines})
+    assert any(p >= 20 for p, *_ in want)
+    assert sorted(map(tuple, relational_queries.rel_common_neighbours(spark, str(tmp_path)).collect())) == want
+
+
+def test_common_neighbours_in_blocks(spark):
+    edges = [(0, p) for p in range(50)] + [(1, p) for p in range(0, 50, 3)] + [(2, 7), (2, 9), (2, 9)]
+    got = relational.common_neighbours(spark.createDataFrame(edges, "c long, p long"), "c", "p", "q", block=4)
+    assert sorted(map(tuple, got.collect())) == _shared(edges)
