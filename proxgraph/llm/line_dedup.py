@@ -8,7 +8,8 @@ suffix whose prefix is unique leaves: it is in no interval of the LCP table at t
 
 An LCP interval of length ``min_lines`` is a set of suffixes with equal first ``min_lines`` lines.
 All but the earliest of an interval, by (id, place), are later copies; the lines they cover are
-deleted.  Overlapping copies merge into maximal runs.
+deleted.  Overlapping copies merge into maximal runs.  With ``min_words``, a line of at least that
+many words is an interval of its own.
 
 Null ids: the row is left alone and is no source.  Rows that are equal in id and text are one
 document; rows that share an id but differ in text are ordered by a text hash.  Null texts stay
@@ -30,6 +31,10 @@ from .common import arrow_map, join_bounded, saved
 _HAS_WORD = r"[^\x20\x09-\x0D]"
 
 
+#: Words from which the query and the pipeline take a single line as a passage.
+PASSAGE_WORDS = 50
+
+
 def line_sequences(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, text_hash, place, line, h1, h2): lines with a word; ``place`` counts them, ``line`` counts all lines."""
     text = F.col(text_col).cast("string")
@@ -86,6 +91,18 @@ def lcp_intervals(docs: DataFrame, length: int, id_col: str = "doc_id", text_col
     return now
 
 
+def long_lines(docs: DataFrame, min_words: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(id, text_hash, line, h1, h2): the lines of ``min_words`` words or more."""
+    if min_words < 1:
+        raise ValueError("min_words must be positive")
+    text = F.col(text_col).cast("string")
+    enough = rf"\A[\x20\x09-\x0D]*+(?:[^\x20\x09-\x0D]++[\x20\x09-\x0D]++){{{min_words - 1}}}+[^\x20\x09-\x0D]"
+    lines = F.transform(F.split(text, "\n"), lambda x, i: F.struct(i.alias("line"), x.alias("x")))
+    long = F.filter(lines, lambda l: (F.length(l["x"]) >= 2 * min_words - 1) & l["x"].rlike(enough))
+    base = docs.where(F.col(id_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), F.xxhash64(text).alias("text_hash"), F.explode(long).alias("l"))
+    return base.select("id", "text_hash", "l.line", F.xxhash64("l.x").alias("h1"), F.hash("l.x").alias("h2")).distinct()
+
+
 def longest_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, text_hash, place, lines): for each suffix with a repeated line, the greatest power of two that its repeat reaches."""
     lines = saved(line_sequences(docs, id_col, text_col).distinct())
@@ -97,19 +114,25 @@ def longest_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return out.groupBy("id", "text_hash", "place").agg(F.max("lines").alias("lines"))
 
 
-def removed_lines(docs: DataFrame, min_lines: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def removed_lines(docs: DataFrame, min_lines: int = 2, id_col: str = "doc_id", text_col: str = "text", min_words: int | None = None) -> DataFrame:
     """(id, text_hash, gone): the line numbers (from 0) to delete."""
     held = lcp_intervals(docs, min_lines, id_col, text_col)
     first = held.groupBy("rank").agg(F.min(F.struct("id", "text_hash", "place")).alias("first"))
     later = held.join(first, "rank").where(F.struct("id", "text_hash", "place") != F.col("first")).select("id", "text_hash", "place")
     covered = later.select("id", "text_hash", F.explode(F.sequence("place", F.col("place") + min_lines - 1)).alias("place")).distinct()
     lines = line_sequences(docs, id_col, text_col).select("id", "text_hash", "place", "line").distinct()
-    return covered.join(lines, ["id", "text_hash", "place"]).groupBy("id", "text_hash").agg(F.sort_array(F.collect_list("line")).alias("gone"))
+    gone = covered.join(lines, ["id", "text_hash", "place"]).select("id", "text_hash", "line")
+    if min_words is not None:
+        long = saved(long_lines(docs, min_words, id_col, text_col))
+        source = long.groupBy("h1", "h2").agg(F.min(F.struct("id", "text_hash", "line")).alias("first"), F.count("*").alias("n")).where("n > 1")
+        again = long.join(source, ["h1", "h2"]).where(F.struct("id", "text_hash", "line") != F.col("first"))
+        gone = gone.unionByName(again.select("id", "text_hash", "line")).distinct()
+    return gone.groupBy("id", "text_hash").agg(F.sort_array(F.collect_list("line")).alias("gone"))
 
 
-def dedup_lines(docs: DataFrame, min_lines: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def dedup_lines(docs: DataFrame, min_lines: int = 2, id_col: str = "doc_id", text_col: str = "text", min_words: int | None = None) -> DataFrame:
     """The input with later copies of repeated runs deleted from ``text_col``, and n_lines, n_removed_lines."""
-    gone = saved(removed_lines(docs, min_lines, id_col, text_col).select(F.col("id").alias("_px_gone_id"), F.col("text_hash").alias("_px_gone_hash"), F.col("gone").alias("_px_gone")))
+    gone = saved(removed_lines(docs, min_lines, id_col, text_col, min_words).select(F.col("id").alias("_px_gone_id"), F.col("text_hash").alias("_px_gone_hash"), F.col("gone").alias("_px_gone")))
     size = gone.agg(F.count("*"), F.coalesce(F.sum(F.size("_px_gone")), F.lit(0))).first()
     text = F.col(text_col).cast("string")
     base = docs.withColumn("_px_id", F.col(id_col).cast("long")).withColumn("_px_hash", F.xxhash64(text))

@@ -14,7 +14,7 @@ def op1_context_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = line_dedup.dedup_lines(load(spark, sf_dir, "documents"))
+    out = line_dedup.dedup_lines(load(spark, sf_dir, "documents"), min_words=line_dedup.PASSAGE_WORDS)
     return out.select("doc_id", "n_lines", "n_removed_lines", F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
 
 
