@@ -102,33 +102,49 @@ def _doc_word(spark, d):
     return e.join(string_ids(e, "word"), "word").select((4 * F.col("doc_id")).alias("src"), (4 * F.col("num") + 1).alias("dst"))
 
 
-MAX_KNN = 50_000
+#: Vectors of a block that is held by a task at once.
+KNN_BLOCK = 8_000
 
 
-def nearest(vectors: DataFrame, k: int = 10, id_col: str = "vec_id", vec_col: str = "embedding") -> DataFrame:
+def nearest(vectors: DataFrame, k: int = 10, id_col: str = "vec_id", vec_col: str = "embedding", block: int = KNN_BLOCK) -> DataFrame:
     """(src, dst, sim): the k nearest other vectors by cosine, rounded to nine digits, ties by id.
 
-    All vectors are broadcast as one matrix behind a check of their number; queries go by in blocks.
+    Vectors are dealt over blocks of about ``block``; a group holds a pair of blocks, in which each vector of
+    the first gets its k nearest of the second, and the best k of all blocks stay.
     """
-    if vectors.count() > MAX_KNN:
-        raise ValueError(f"brute force takes at most {MAX_KNN} vectors")
-    ship(vectors.sparkSession)
-    t = vectors.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).cast("array<double>").alias("v")).orderBy("id").toArrow()
-    ids, mat = t.column("id").to_numpy(), np.array(t.column("v").to_pylist())
-    shared = vectors.sparkSession.sparkContext.broadcast((ids, mat / np.linalg.norm(mat, axis=1, keepdims=True)))
-
-    def run(batches):
-        every, unit = shared.value
-        for batch in batches:
-            own, v = batch.column("id").to_numpy(), np.array(batch.column("v").to_pylist())
-            if not len(own):
-                continue
-            sim = np.round((v / np.linalg.norm(v, axis=1, keepdims=True)) @ unit.T, 9)
-            sim[own[:, None] == every[None, :]] = -np.inf
-            near = np.lexsort((np.broadcast_to(every, sim.shape), -sim), axis=1)[:, : min(k, len(every) - 1)]
-            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(own, near.shape[1])), pa.array(every[near].ravel()), pa.array(np.take_along_axis(sim, near, 1).ravel())], names=["src", "dst", "sim"])
-
-    return vectors.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).cast("array<double>").alias("v")).mapInArrow(run, "src long, dst long, sim double")
+    spark = vectors.sparkSession
+    ship(spark)
+    t = vectors.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).cast("array<double>").alias("v"))
+    blocks = max(1, -(-t.count() // block))
+    own = t.withColumn("own", F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int"))
+    every = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    asks, held = own.select(F.col("own").alias("a"), every.alias("b"), "id", "v"), own.select(every.alias("a"), F.col("own").alias("b"), F.col("id").alias("held_id"), F.col("v").alias("held_v"))
+
+    def unit(part: pa.Table, ids: str, vs: str):
+        v = np.array(part.column(vs).to_pylist())
+        return part.column(ids).to_numpy(), v / np.linalg.norm(v, axis=1, keepdims=True)
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        out = []
+        if left.num_rows and right.num_rows:
+            (mine, q), (other, m) = unit(left, "id", "v"), unit(right, "held_id", "held_v")
+            for lo in range(0, len(mine), 256):
+                ids = mine[lo : lo + 256]
+                sim = np.round(q[lo : lo + 256] @ m.T, 9)
+                same = ids[:, None] == other[None, :]
+                sim[same] = -np.inf
+                near = np.lexsort((np.broadcast_to(other, sim.shape), -sim), axis=1)[:, :k]
+                best = np.take_along_axis(sim, near, 1)
+                real = ~np.take_along_axis(same, near, 1).ravel()
+                out.append(pa.table({"src": np.repeat(ids, near.shape[1])[real], "dst": other[near].ravel()[real], "sim": best.ravel()[real]}))
+        kinds = pa.schema([("src", pa.int64()), ("dst", pa.int64()), ("sim", pa.float64())])
+        return pa.concat_tables(out).cast(kinds) if out else kinds.empty_table()
+
+    best = asks.groupBy("a", "b").cogroup(held.groupBy("a", "b")).applyInArrow(run, "src long, dst long, sim double")
+    if blocks == 1:
+        return best
+    place = F.row_number().over(Window.partitionBy("src").orderBy(F.isnan("sim"), F.desc("sim"), "dst"))
+    return best.withColumn("place", place).where(F.col("place") <= k).drop("place")
 
 
 def _knn10(spark, d):

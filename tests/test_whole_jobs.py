@@ -4,9 +4,11 @@ import random
 from collections import Counter
 from itertools import combinations
 
+import numpy as np
+
 from proxgraph import relational_queries
 from proxgraph.operators import relational
-from proxgraph.sources.fixtures import FIXTURES
+from proxgraph.sources.fixtures import FIXTURES, nearest
 
 
 def test_doc_word_reads_whole_texts(spark, tmp_path):
@@ -40,3 +42,16 @@ def test_common_neighbours_in_blocks(spark):
     edges = [(0, p) for p in range(50)] + [(1, p) for p in range(0, 50, 3)] + [(2, 7), (2, 9), (2, 9)]
     got = relational.common_neighbours(spark.createDataFrame(edges, "c long, p long"), "c", "p", "q", block=4)
     assert sorted(map(tuple, got.collect())) == _shared(edges)
+
+
+def test_nearest_in_blocks(spark):
+    rng = np.random.default_rng(4)
+    vectors = [[float(x) for x in rng.integers(-2, 3, 4)] for _ in range(60)]
+    vectors = [v if any(v) else [1.0, 0.0, 0.0, 0.0] for v in vectors]
+    df = spark.createDataFrame(list(enumerate(vectors)), "vec_id long, embedding array<float>")
+    unit = np.array(vectors) / np.linalg.norm(vectors, axis=1, keepdims=True)
+    sim = np.round(unit @ unit.T, 9)
+    want = {(i, j) for i in range(60) for j in sorted((j for j in range(60) if j != i), key=lambda j: (-sim[i, j], j))[:5]}
+    for block in (7, 25, 1000):
+        assert sorted((r.src, r.dst) for r in nearest(df, 5, block=block).collect()) == sorted(want), block
+    assert nearest(df.limit(1), 5).count() == 0 and nearest(df.limit(0), 5).count() == 0
