@@ -1,28 +1,29 @@
 """Exact join of documents whose word-shingle sets have a Jaccard similarity of 0.8 or more.
 
-The token-group matrix idea: similar sets are put into groups, a group keeps the union of its
-members' tokens, and a group is opened for a query set only if the query's overlap with that union
-can still reach the threshold.
+The token-group matrix: similar sets are put into groups, a group keeps the union of its members'
+tokens, and a group is opened for a query set only if the bound on the query's overlap with that
+union can reach the threshold.
 
 1. A scan reduces each document to (id, set size, set fingerprint).  Equal sets are one *text* from
-   here on, named by its fingerprint and size, so exact copies are never paired.
-2. Candidate search is complete by counting.  Order each set's tokens by hash and take its runs of
-   ``k`` neighbours.  A token that only one set has breaks at most ``k`` of its runs, a token that
-   only the other has breaks at most ``k - 1``.  At a similarity of 0.8, ``a`` own and ``b`` foreign
-   tokens satisfy ``a + 0.8 b <= 0.2 n``, so less than ``0.2 k n + 1`` of a set's first runs are
-   broken (for k up to 4), and the set whose run of that many ends first shares one with the other.
-   Four neighbours of a passage that unrelated documents quote seldom stand together in both, so the
-   buckets stay small.  Sets too small for four use three or two.
-3. Grouping: in each bucket the text that the most buckets share is the centre; each text is
-   compared with its most frequent centre.  Components of these links are the groups.
-4. Opening groups: only buckets that still hold two or more groups matter.  The matrix has, for each
-   group, its token union as counts over hashed token columns (the largest count of any member).  The
-   sum of column minima bounds a text's overlap with every member; if it can't reach the threshold the
-   group stays closed.  The bound is taken over a few columns inside the bucket join, then over about
-   half as many columns as tokens.  The members of open groups that share a bucket with the text are
-   compared, after the same bound on the pair itself.  Every linked pair is in one group by step 3 or is compared
-   here, so no link is lost.
-5. Components of all links give the result, as the smallest id of each.
+   here on, so exact copies are never paired.  A text is named by 64 bits; fingerprints that two
+   different sets share (told apart by 64 more bits) are replaced by those.
+2. All tokens are put into one order, the rarest first: tokens of one text only come before all
+   others, frequent ones last.  The order comes from the exact number of texts of each token, so one
+   shuffle of the tokens is needed; the most frequent tokens (found per block of texts, a bounded
+   list) are known to be shared, stand last, and are dealt by (token, text) there.
+3. Two linked sets of ``n`` and ``m`` tokens share at least ``t (n + m) / (1 + t)`` tokens.  If their first
+   shared token stands at place ``i`` of the one (from 0), the overlap is ``n - i`` at most.  So the first
+   shared token is among the first ``(1 - t) n`` tokens of the larger set (its probe rows) and the first
+   ``(1 - t) / (1 + t) m`` of the smaller (its matrix rows).
+4. Grouping: among the texts with a probe row of a token the one that shares most is the centre; each text
+   is compared with its most frequent centre.  Components of these links are the groups.
+5. The matrix has, for each token and group, the sizes of the members with that token in their matrix
+   rows and the most tokens that any of them has from there on: the token union of the group with its
+   bound.  A text asks with its probe rows; the smaller of what the two sides can still share bounds
+   the overlap with every member.  A group that can't reach the threshold stays closed.
+6. The members of open groups that meet the bound themselves are compared by their whole sets.  Every
+   linked pair is in one group by step 4 or is compared here, so no link is lost.
+7. Components of all links give the result, as the smallest id of each.
 
 Null ids take no part (component null); null or blank texts have no tokens and link with nothing.
 Repeated ids are handled row by row; ties do not matter (the result does not depend on centres).
@@ -38,19 +39,18 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import arrow_map, blocks, join_bounded, mix, saved, signed, word_hashes
+from .common import arrow_map, blocks, drop_rows, join_bounded, mix, saved, signed, word_hashes
 
 SHINGLE = 5
 _ODD = mix(np.arange(11, 11 + SHINGLE, dtype=np.uint64)) | np.uint64(1)
-#: (neighbours in a run, smallest set, sets from this size on don't need it).  Linked sets differ in
-#: size by a quarter at most, so both of a pair are in one line at least; sets of one to three tokens
-#: link with equal sets only.
-RUNS = ((4, 20, None), (3, 8, 32), (2, 4, 12))
-
-
-#: Token columns of the bound that is taken inside the bucket join.
-COARSE = 32
-PACKED = tuple(f"q{w}" for w in range(COARSE // 8))
+_SEEDS = (np.uint64(0x51ED270B35A7C3D9), np.uint64(0xB492B66FBE98F273))
+#: A token that more than this share of the texts has is frequent; a token is found if a block of texts has
+#: it as often.  No more than ``average set size / FREQUENT_SHARE`` tokens can be, and no more than
+#: ``MOST_FREQUENT`` are kept: the others are dealt like rare ones, with the same result.
+FREQUENT_SHARE = 0.01
+MOST_FREQUENT = 1 << 20
+#: Fingerprints that different sets share, at most: among 10**11 texts some hundreds are expected.
+MOST_COLLISIONS = 1 << 18
 
 
 def shingle_sets(raw: np.ndarray, offs: np.ndarray, shingle: int = SHINGLE) -> list[np.ndarray]:
@@ -74,155 +74,71 @@ def shingle_sets(raw: np.ndarray, offs: np.ndarray, shingle: int = SHINGLE) -> l
     return out
 
 
-def fingerprint(s: np.ndarray) -> int:
-    v = int(mix(s ^ np.uint64(0x51ED270B35A7C3D9)).sum(dtype=np.uint64))
+def fingerprint(s: np.ndarray, which: int = 0) -> int:
+    v = int(mix(s ^ _SEEDS[which]).sum(dtype=np.uint64))
     return v - (1 << 64) if v >> 63 else v
 
 
-def signatures(s: np.ndarray) -> np.ndarray:
-    """Hashes of the first runs of neighbours of a sorted set."""
-    n, out = len(s), [np.zeros(0, np.uint64)]
-    for k, least, end in RUNS:
-        if n < least or end is not None and n >= end:
-            continue
-        need = n * k // 5 + 1
-        own = s[:need] * _ODD[0]
-        for j in range(1, k):
-            own = own + s[j : need + j] * _ODD[j]
-        out.append(mix(own + np.uint64(k)))
-    return np.concatenate(out)
-
-
-def sketch(s: np.ndarray) -> bytes:
-    """Counts of a set's tokens over hashed columns, about two tokens a column."""
-    width = 1 << max(4, min(13, (len(s) // 2).bit_length()))
-    return np.minimum(np.bincount((s & np.uint64(width - 1)).astype(np.int64), minlength=width), 255).astype(np.uint8).tobytes()
-
-
-def coarse(s: np.ndarray) -> list[int | None]:
-    """Counts over ``COARSE`` columns, eight to a number of 64 bits; Nones where a count is too large."""
-    held = np.bincount((s & np.uint64(COARSE - 1)).astype(np.int64), minlength=COARSE)
-    return held.astype(np.uint8).view(np.int64).tolist() if held.max() < 128 else [None] * len(PACKED)
-
-
-def _column(packed: str, i: int):
-    return F.shiftright(F.col(packed), 8 * i).bitwiseAND(F.lit(127))
-
-
-def _union(null_of: str):
-    """Packed largest counts of a group."""
-    out = []
-    for q in PACKED:
-        parts = [F.shiftleft(F.max(_column(q, i)), 8 * i) for i in range(8)]
-        whole = parts[0]
-        for x in parts[1:]:
-            whole = whole.bitwiseOR(x)
-        out.append(F.when(F.max(F.col(null_of).isNull()), None).otherwise(whole).alias(f"u{q}"))
-    return out
-
-
-def _bound():
-    """Sum of column minima of packed counts and packed union; null if either is."""
-    terms = [F.least(_column(q, i), _column(f"u{q}", i)) for q in PACKED for i in range(8)]
-    out = terms[0]
-    for t in terms[1:]:
-        out = out + t
-    return out
-
-
-def _fold(x: np.ndarray, width: int) -> np.ndarray:
-    """Counts over fewer columns."""
-    return x.reshape(-1, width).sum(0) if len(x) > width else x
-
-
-def overlap_bound(a: bytes, b: bytes) -> int:
-    """No less than the overlap of the two sets (or of one with any member of a group)."""
-    x, y = np.frombuffer(a, np.uint8), np.frombuffer(b, np.uint8)
-    if (x == 255).any() or (y == 255).any():  # a full count says nothing
-        return 1 << 60
-    width = min(len(x), len(y))
-    return int(np.minimum(_fold(x.astype(np.int64), width), _fold(y.astype(np.int64), width)).sum())
-
-
-def _reachable(threshold: int):
-    """Rows whose bound on the overlap can reach the threshold; ``m`` is the other's least size."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            rows = zip(batch.column("n").to_pylist(), batch.column("m").to_pylist(), batch.column("x").to_pylist(), batch.column("y").to_pylist(), strict=True)
-            # overlap >= t (n + m) / (100 + t), and overlap >= t n / 100
-            good = [overlap_bound(x, y) * (100 + threshold) >= threshold * (n + m) for n, m, x, y in rows]
-            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], names=["a", "b"]).filter(pa.array(good, pa.bool_()))
-
-    return run
-
-
-def _merge_sketches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(grp, x) with the largest counts of neighbouring rows of a group; rows come ordered by group."""
-    held: tuple[int, np.ndarray] | None = None
-
-    def row(g: int, x: np.ndarray) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array([g], pa.int64()), pa.array([np.minimum(x, 255).astype(np.uint8).tobytes()], pa.binary())], names=["grp", "x"])
-
-    for batch in batches:
-        for g, raw in zip(batch.column("grp").to_pylist(), batch.column("x").to_pylist(), strict=True):
-            x = np.frombuffer(raw, np.uint8).astype(np.int64)
-            if held is not None and held[0] == g:
-                width = min(len(x), len(held[1]))
-                held = (g, np.maximum(_fold(x, width), _fold(held[1], width)))
-                continue
-            if held is not None:
-                yield row(*held)
-            held = (g, x)
-    if held is not None:
-        yield row(*held)
+def text_key(s: np.ndarray, collided: frozenset) -> int:
+    own = fingerprint(s)
+    return fingerprint(s, 1) if own in collided else own
 
 
 def _profile(shingle: int):
+    """Size and fingerprints of each document; the first row of a block also has the block's frequent tokens."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            n, fp, marks, columns = [], [], [], []
+            n, fp, fp2, tokens, counts = [], [], [], [], []
             for _, _, raw, offs in blocks(batch.column("body")):
-                for s in shingle_sets(raw, offs, shingle):
+                sets = shingle_sets(raw, offs, shingle)
+                u, c = np.unique(np.concatenate(sets), return_counts=True)
+                often = c >= max(4, FREQUENT_SHARE * len(sets))
+                for i, s in enumerate(sets):
                     n.append(len(s))
                     fp.append(fingerprint(s) if len(s) else None)
-                    marks.append(sketch(s) if len(s) else None)
-                    columns.append(coarse(s) if len(s) else [None] * len(PACKED))
-            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(n, pa.int64()), pa.array(fp, pa.int64()), pa.array(marks, pa.binary()), *(pa.array([c[w] for c in columns], pa.int64()) for w in range(len(PACKED)))], names=["id", "n", "fp", "x", *PACKED])
+                    fp2.append(fingerprint(s, 1) if len(s) else None)
+                    tokens.append(None if i else signed(u[often]))
+                    counts.append(None if i else c[often])
+            yield pa.RecordBatch.from_arrays([batch.column("id"), batch.column("text_hash"), pa.array(n, pa.int64()), pa.array(fp, pa.int64()), pa.array(fp2, pa.int64()), pa.array(tokens, pa.list_(pa.int64())), pa.array(counts, pa.list_(pa.int64()))], names=["id", "text_hash", "n", "fp", "fp2", "often", "times"])
 
     return run
 
 
-def _emit(shingle: int):
-    """(sig, fp, n) of each distinct set of a task's recent rows."""
+def _emit(shingle: int, collided: frozenset, frequent):
+    """(key, fp, often) of each token of each distinct set of a task's recent rows.
+
+    ``key`` is the token; for a frequent one it is a hash of token and text, and ``often`` is the token.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        often = frequent.value
         seen: set = set()
         for batch in batches:
             for _, _, raw, offs in blocks(batch.column("body")):
-                sig, fps, ns = [], [], []
+                keys, fps, tokens = [], [], []
                 for s in shingle_sets(raw, offs, shingle):
-                    if not len(s) or (key := (fingerprint(s), len(s))) in seen:
+                    if not len(s) or (name := text_key(s, collided)) in seen:
                         continue
                     if len(seen) >= 200_000:
                         seen.clear()
-                    seen.add(key)
-                    own = signatures(s)
-                    sig.append(own)
-                    fps.append(np.full(len(own), key[0], np.int64))
-                    ns.append(np.full(len(own), key[1], np.int32))
-                if sig:
-                    yield pa.RecordBatch.from_arrays([pa.array(signed(np.concatenate(sig))), pa.array(np.concatenate(fps)), pa.array(np.concatenate(ns))], names=["sig", "fp", "n"])
+                    seen.add(name)
+                    hot = often[np.minimum(np.searchsorted(often, s), len(often) - 1)] == s if len(often) else np.zeros(len(s), bool)
+                    keys.append(np.where(hot, mix(s + np.array([name]).view(np.uint64) * _ODD[0]), s) if hot.any() else s)
+                    fps.append(np.full(len(s), name, np.int64))
+                    tokens.append(pa.array(signed(s), mask=~hot))
+                if keys:
+                    yield pa.RecordBatch.from_arrays([pa.array(signed(np.concatenate(keys))), pa.array(np.concatenate(fps)), pa.concat_arrays(tokens)], names=["key", "fp", "often"])
 
     return run
 
 
-def _sets(shingle: int):
+def _sets(shingle: int, collided: frozenset):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             want = batch.column("fp").to_pylist()
             for lo, _, raw, offs in blocks(batch.column("body")):
-                found = [(want[lo + i], s) for i, s in enumerate(shingle_sets(raw, offs, shingle)) if len(s) and fingerprint(s) == want[lo + i]]
+                found = [(want[lo + i], s) for i, s in enumerate(shingle_sets(raw, offs, shingle)) if len(s) and text_key(s, collided) == want[lo + i]]
                 if found:
                     sizes = np.concatenate(([0], np.cumsum([len(s) for _, s in found])))
                     yield pa.RecordBatch.from_arrays([pa.array([f for f, _ in found], pa.int64()), pa.ListArray.from_arrays(pa.array(sizes, pa.int32()), pa.array(signed(np.concatenate([s for _, s in found]))))], names=["fp", "toks"])
@@ -250,82 +166,103 @@ def components(edges: DataFrame) -> DataFrame:
         label = step.select("node", "root")
 
 
-def near_duplicates(docs: DataFrame, threshold: int = 80, shingle: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per input row: ``id_col``, n_shingles, component_id (smallest id reachable by links)."""
-    if not 80 <= threshold <= 100:
-        raise ValueError("the candidate search is complete for thresholds from 80 to 100 (per cent)")
-    body = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").cast("binary").alias("body"))
-    seen = saved(arrow_map(body, _profile(shingle), "id long, n long, fp long, x binary, " + ", ".join(f"{q} long" for q in PACKED)))
-    texts = saved(seen.where("id is not null and n > 0").groupBy("fp").agg(F.min("id").alias("id"), F.first("n").alias("n"), F.first("x").alias("x"), *(F.first(q).alias(q) for q in PACKED)))
-
-    sigs = arrow_map(body.where("id is not null").select("body"), _emit(shingle), "sig long, fp long, n int").repartition("sig")
-    own = Window.partitionBy("sig")
-    bucket = sigs.withColumn("lo", F.min("fp").over(own)).withColumn("hi", F.max("fp").over(own)).where("lo < hi").select("sig", "fp", "n").distinct()
-    bucket = saved(bucket)
-
-    held = bucket.groupBy("sig").agg(F.count("*").alias("held"))
-    weight = bucket.join(held, "sig").groupBy("fp").agg(F.sum("held").alias("weight"))
-    ranked = bucket.join(weight, "fp")
-    centre = ranked.groupBy("sig").agg(F.max_by("fp", F.struct("weight", "fp")).alias("centre"))
-    star = bucket.join(centre, "sig").where("fp <> centre").groupBy("fp", "centre").agg(F.count("*").alias("shared"))
-    star = star.groupBy("fp").agg(F.max_by("centre", F.struct("shared", "centre")).alias("centre"))
-    mark = texts.select("fp", "n", "x")
-
-    def reach(pairs: DataFrame) -> DataFrame:
-        """Pairs (a, b) of texts that the bound leaves."""
-        full = pairs.join(mark.withColumnsRenamed({"fp": "a"}), "a").join(mark.withColumnsRenamed({"fp": "b", "n": "m", "x": "y"}), "b").where("80 * n <= 100 * m and 80 * m <= 100 * n")
-        return saved(arrow_map(full.select("a", "b", "n", "m", "x", "y"), _reachable(threshold), "a long, b long"))
+def prefix_rows(body: DataFrame, seen: DataFrame, texts: DataFrame, collided: frozenset, threshold: int, shingle: int) -> DataFrame:
+    """(token, fp, n, pos): the probe rows; ``pos`` is the token's place in its text, the rarest first."""
+    spark = body.sparkSession
+    least = F.lit(FREQUENT_SHARE) * F.lit(seen.count())
+    often = seen.where("often is not null").select(F.explode(F.arrays_zip("often", "times")).alias("x")).groupBy(F.col("x.often").alias("token")).agg(F.sum("x.times").alias("times")).where(F.col("times") >= least)
+    held = often.orderBy(F.desc("times"), "token").limit(MOST_FREQUENT).select("token").toArrow()
+    frequent = spark.sparkContext.broadcast(np.sort(held.column("token").to_numpy().view(np.uint64)))
+    rows = arrow_map(body.where("id is not null").select("body"), _emit(shingle, collided, frequent), "key long, fp long, often long")
+    own = Window.partitionBy("key")
+    rows = rows.withColumn("lo", F.min("fp").over(own)).withColumn("hi", F.max("fp").over(own)).withColumn("df", F.count("*").over(own))
+    rows = rows.where("often is not null or lo < hi").select(F.coalesce("often", "key").alias("token"), "key", "fp", F.when(F.col("often").isNull(), F.col("df")).otherwise(F.lit(1 << 40)).alias("df")).dropDuplicates(["key", "fp"])
+    # tokens of no other text come first and need no row: they only count
+    per = Window.partitionBy("fp")
+    placed = rows.join(texts.select("fp", "n"), "fp").withColumn("shared", F.count("*").over(per)).withColumn("rank", F.row_number().over(per.orderBy("df", "token")))
+    placed = placed.select("token", "fp", "n", (F.col("n") - F.col("shared") + F.col("rank") - 1).alias("pos"))
+    return saved(placed.where(100 * (F.col("n") - F.col("pos")) >= threshold * F.col("n")))
+
+
+def linked_texts(docs: DataFrame, threshold: int, shingle: int, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
+    """(id, text_hash, n, fp) of every row, and (node, root) of the texts that are linked."""
+    if not 0 < threshold <= 100:
+        raise ValueError("the threshold is a per cent")
+    text = F.col(text_col).cast("string")
+    body = docs.select(F.col(id_col).cast("long").alias("id"), F.xxhash64(text).alias("text_hash"), text.cast("binary").alias("body"))
+    seen = saved(arrow_map(body, _profile(shingle), "id long, text_hash long, n long, fp long, fp2 long, often array<long>, times array<long>"))
+    twice = seen.where("fp is not null").groupBy("fp").agg(F.min("fp2").alias("lo"), F.max("fp2").alias("hi")).where("lo < hi").select("fp")
+    collided = frozenset(r["fp"] for r in twice.limit(MOST_COLLISIONS + 1).collect())
+    if len(collided) > MOST_COLLISIONS:
+        raise RuntimeError("too many different sets share their fingerprints")
+    if collided:
+        wide = body.sparkSession.createDataFrame([(x,) for x in collided], "of long")
+        seen = saved(seen.join(F.broadcast(wide), F.col("fp") == F.col("of"), "left").withColumn("fp", F.when(F.col("of").isNull(), F.col("fp")).otherwise(F.col("fp2"))).drop("of"))
+    texts = saved(seen.where("id is not null and n > 0").groupBy("fp").agg(F.min("id").alias("id"), F.first("n").alias("n")))
+    rows = prefix_rows(body, seen, texts, collided, threshold, shingle)
 
     def links(pairs: DataFrame) -> DataFrame:
         """Pairs that are linked, by their whole sets; only the texts of these pairs are read again."""
         texts_in = pairs.select(F.col("a").alias("fp")).union(pairs.select("b")).distinct()
         wanted = saved(texts.select("fp", "id").join(texts_in, "fp", "left_semi"))
-        rows = arrow_map(join_bounded(body, wanted, "id", "inner", wanted.count()).select("fp", "body"), _sets(shingle), "fp long, toks array<long>")
-        sets = saved(rows.dropDuplicates(["fp"]))
+        found = arrow_map(join_bounded(body, wanted, "id", "inner", wanted.count()).select("fp", "body"), _sets(shingle, collided), "fp long, toks array<long>")
+        sets = saved(found.dropDuplicates(["fp"]))
         both = pairs.join(sets.withColumnsRenamed({"fp": "a"}), "a").join(sets.withColumnsRenamed({"fp": "b", "toks": "core"}), "b")
         return saved(both.where(_linked(threshold, "toks", "core")).select("a", "b"))
 
-    first = links(reach(star.select(F.col("fp").alias("a"), F.col("centre").alias("b"))))
-
-    def place(group: DataFrame) -> tuple[DataFrame, DataFrame]:
-        """Bucket rows with their group, and the buckets that hold several groups."""
-        rows = saved(bucket.join(group, F.col("fp") == F.col("node"), "left").select("sig", "fp", "n", F.coalesce("root", "fp").alias("grp")))
-        return rows, rows.groupBy("sig").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo < hi")
-
-    placed, several = place(components(first))
-    several = several.select("sig")
-    left = saved(placed.join(several, "sig").join(texts.select("fp", *PACKED), "fp"))
-    # the matrix by bucket: a group's largest count in each of a few columns, its union inside the bucket
-    size = [F.min("n").alias("least"), F.max("n").alias("most")]
-    by_group = left.groupBy("sig", "grp").agg(*size, *_union(PACKED[0])).withColumnRenamed("grp", "other")
-    most_needed = threshold * (F.col("n") + F.greatest(F.col("least").cast("double"), 0.8 * F.col("n")))
-    # a linked pair is open both ways, so one way is enough: labels are minima, so mostly the few texts of
-    # small groups ask large groups
-    asks = left.join(by_group, "sig").where("grp > other and 100 * n >= 80 * least and 80 * n <= 100 * most").where(F.coalesce((100 + threshold) * _bound() >= most_needed, F.lit(True)))
-    asks = saved(asks.groupBy(F.col("fp").alias("a"), F.col("other").alias("b")).agg(F.min("least").cast("long").alias("m")))
-
-    # the matrix: column counts of each group that is asked for, merged in parts first
-    inside = placed.select("fp", "grp").distinct().join(asks.select(F.col("b").alias("grp")).distinct(), "grp", "left_semi").join(mark, "fp").select("grp", "x", F.pmod("fp", F.lit(64)).alias("part"))
-    parts = arrow_map(inside.repartition("grp", "part").sortWithinPartitions("grp", "part").select("grp", "x"), _merge_sketches, "grp long, x binary")
-    matrix = arrow_map(parts.repartition("grp").sortWithinPartitions("grp"), _merge_sketches, "grp long, x binary")
-    full = asks.join(mark.withColumnsRenamed({"fp": "a"}), "a").join(matrix.withColumnsRenamed({"grp": "b", "x": "y"}), "b")
-    opens = saved(arrow_map(full.select("a", "b", "n", F.greatest(F.col("m"), F.ceil(F.col("n") * 0.8)).alias("m"), "x", "y"), _reachable(threshold), "a long, b long"))
-
-    # each asker meets the members of its open groups, under the bound over a few columns
-    asker = opens.join(texts.select(F.col("fp").alias("a"), "n", *PACKED), "a")
-    member = left.select("fp", "grp").distinct().join(texts.select("fp", F.col("n").alias("m"), *(F.col(q).alias(f"u{q}") for q in PACKED)), "fp").select(F.col("grp").alias("b"), F.col("fp").alias("peer"), "m", *(f"u{q}" for q in PACKED))
-    enough = F.coalesce((100 + threshold) * _bound() >= threshold * (F.col("n") + F.col("m")), F.lit(True))
-    pairs = asker.join(member, "b").where("100 * n >= 80 * m and 80 * n <= 100 * m").where(enough)
-    pairs = pairs.select(F.least("a", "peer").alias("x"), F.greatest("a", "peer").alias("y")).distinct().select(F.col("x").alias("a"), F.col("y").alias("b"))
-    final = components(saved(first.union(links(reach(pairs)))))
-
-    named = seen.join(final, F.col("fp") == F.col("node"), "left").select("id", "n", F.coalesce("root", "fp").alias("root"))
-    least = named.where("id is not null and root is not null").groupBy("root").agg(F.min("id").alias("component_id"))
-    return named.join(least, "root", "left").select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.when(F.col("id").isNotNull(), F.coalesce("component_id", "id")).alias("component_id"))
-
-
-def keep_first(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
-    """The rows whose id is the smallest of their component (and those with a null id), with all their columns."""
-    found = near_duplicates(docs, id_col=id_col, **options).where(F.col(id_col) != F.col("component_id"))
-    bad = saved(found.select(F.col(id_col).alias("_px_id")).distinct())
-    return join_bounded(docs, bad, docs[id_col].cast("long") == F.col("_px_id"), "left_anti", bad.count())
+    # groups of similar texts
+    held = rows.groupBy("token").agg(F.count("*").alias("held")).where("held > 1")
+    rows = saved(rows.join(held, "token"))
+    weight = rows.groupBy("fp").agg(F.sum("held").alias("weight"))
+    centre = rows.join(weight, "fp").groupBy("token").agg(F.max_by("fp", F.struct("weight", "fp")).alias("centre"))
+    star = rows.join(centre, "token").where("fp <> centre").groupBy("fp", "centre").agg(F.count("*").alias("shared"))
+    star = star.groupBy("fp").agg(F.max_by("centre", F.struct("shared", "centre")).alias("centre"))
+    first = links(saved(star.select(F.col("fp").alias("a"), F.col("centre").alias("b"))))
+    rows = rows.join(components(first), F.col("fp") == F.col("node"), "left").select("token", "fp", "n", "pos", F.coalesce("root", "fp").alias("grp"))
+    rows = saved(rows)
+    several = rows.groupBy("token").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo < hi").select("token")
+    rows = saved(rows.join(several, "token"))
+
+    # the matrix: a row for each token of a group's union, with what bounds the overlap
+    inside = rows.where((100 + threshold) * (F.col("n") - F.col("pos")) >= 2 * threshold * F.col("n"))
+    matrix = inside.groupBy("token", F.col("grp").alias("other")).agg(F.min("n").alias("least"), F.max("n").alias("most"), F.max(F.col("n") - F.col("pos")).alias("reach"))
+    can = F.least(F.col("n") - F.col("pos"), F.col("reach"))
+    smallest = F.greatest(100 * F.col("least"), threshold * F.col("n"))  # a hundred times the size of the smallest member that could link
+    asks = rows.join(matrix, "token").where("grp <> other and n >= least").where(100 * F.col("most") >= threshold * F.col("n")).where(100 * (100 + threshold) * can >= threshold * (100 * F.col("n") + smallest))
+    asks = saved(asks.select("token", F.col("fp").alias("a"), "n", "pos", F.col("other").alias("grp")))
+
+    # open groups: their members under the same bound on the pair itself; the larger set asks
+    member = inside.select("token", "grp", F.col("fp").alias("b"), F.col("n").alias("m"), F.col("pos").alias("at"))
+    need = (100 + threshold) * F.least(F.col("n") - F.col("pos"), F.col("m") - F.col("at")) >= threshold * (F.col("n") + F.col("m"))
+    pairs = asks.join(member, ["token", "grp"]).where("n > m or n = m and a > b").where(100 * F.col("m") >= threshold * F.col("n")).where(need)
+    final = components(saved(first.union(links(saved(pairs.select("a", "b").distinct())))))
+    return seen.select("id", "text_hash", "n", "fp"), final
+
+
+def _named(docs: DataFrame, threshold: int, shingle: int, id_col: str, text_col: str) -> DataFrame:
+    """(id, text_hash, n, root, first): ``first`` is the least (id, text_hash) of the row's component."""
+    seen, final = linked_texts(docs, threshold, shingle, id_col, text_col)
+    named = seen.join(final, F.col("fp") == F.col("node"), "left").select("id", "text_hash", "n", F.coalesce("root", "fp").alias("root"))
+    least = named.where("id is not null and root is not null").groupBy("root").agg(F.min(F.struct("id", "text_hash")).alias("first"))
+    return named.join(least, "root", "left")
+
+
+def near_duplicates(docs: DataFrame, threshold: int = 80, shingle: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row per input row: ``id_col``, n_shingles, component_id (smallest id reachable by links)."""
+    named = _named(docs, threshold, shingle, id_col, text_col)
+    return named.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.when(F.col("id").isNotNull(), F.coalesce("first.id", "id")).alias("component_id"))
+
+
+def keep_first(docs: DataFrame, threshold: int = 80, shingle: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row of each component, with all its columns: that of the smallest id, then of the smallest text hash.
+
+    Rows with a null id and rows without a word stay.  Of rows that are equal in id and text one stays
+    (any, if other columns differ).
+    """
+    named = saved(_named(docs, threshold, shingle, id_col, text_col).where("id is not null and root is not null"))
+    out = drop_rows(docs, named.where(F.struct("id", "text_hash") != F.col("first")).select("id", "text_hash"), id_col, text_col)
+    again = saved(named.groupBy("id", "text_hash").agg(F.count("*").alias("rows")).where("rows > 1").select(F.col("id").alias("_px_id"), F.col("text_hash").alias("_px_hash")))
+    if not (n := again.count()):
+        return out
+    on = (out[id_col].cast("long") == F.col("_px_id")) & (F.xxhash64(out[text_col].cast("string")) == F.col("_px_hash"))
+    return join_bounded(out, again, on, "left_anti", n).unionByName(join_bounded(out, again, on, "left_semi", n).dropDuplicates([id_col, text_col]))

@@ -335,21 +335,51 @@ def test_jaccard_join(docs, corpus, empty):
     assert jaccard_join.near_duplicates(empty).count() == 0
 
 
-def test_jaccard_runs_lose_no_link():
-    """Linked pairs at the very threshold share a run; the bound is never under the overlap."""
-    rng = np.random.default_rng(4)
-    for n in [*range(4, 60), 100, 333, 1000]:
-        for _ in range(30):
-            a = np.unique(rng.integers(0, 1 << 63, n, dtype=np.uint64))
-            own = rng.integers(0, len(a) // 5 + 1)
-            b = rng.permutation(a)[own:]
-            more = int((len(b) - 0.8 * len(a)) / 0.8)
-            b = np.unique(np.concatenate([b, rng.integers(0, 1 << 63, rng.integers(0, more + 1), dtype=np.uint64)]))
-            both = len(np.intersect1d(a, b))
-            if 100 * both < 80 * (len(a) + len(b) - both) or len(a) == len(b) == both:
-                continue
-            assert np.intersect1d(jaccard_join.signatures(a), jaccard_join.signatures(b)).size, (n, own)
-            assert jaccard_join.overlap_bound(jaccard_join.sketch(a), jaccard_join.sketch(b)) >= both
+def _linked_roots(texts, threshold):
+    """Smallest index that each text reaches, by all pairs."""
+    sets = [frozenset(tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))) for w in (t.split() for t in texts)]
+    root = list(range(len(sets)))
+    for i, s in enumerate(sets):
+        for j in range(i):
+            if 100 * len(s & sets[j]) >= threshold * len(s | sets[j]):
+                old, new = max(root[i], root[j]), min(root[i], root[j])
+                root = [new if r == old else r for r in root]
+    return root
+
+
+@pytest.mark.parametrize("threshold", [60, 80, 100])
+def test_jaccard_families_lose_no_link(spark, threshold):
+    """Families of near copies around the threshold, some without their base, under tokens that most texts have."""
+    rng = random.Random(threshold)
+    common = _words(rng, 30)
+    texts = []
+    for family in range(4):
+        base = _words(rng, 45 + 20 * family, 10**6).split()
+        for _ in range(40):
+            w = list(base)
+            for _ in range(rng.randint(0, 6)):
+                at = rng.randrange(len(w))
+                w[at : at + rng.randint(0, 2)] = [f"y{rng.randrange(4)}"] * rng.randint(0, 2)
+            texts.append(f"{common} {' '.join(w)}" if rng.random() < 0.8 else " ".join(w))
+    texts += [_words(rng, k) for k in (1, 2, 4, 5, 6, 7, 8)] * 2
+    rng.shuffle(texts)
+    got = jaccard_join.near_duplicates(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(5), threshold)
+    assert [r.component_id for r in got.orderBy("doc_id").collect()] == _linked_roots(texts, threshold)
+
+
+def test_collided_fingerprints_take_the_second():
+    a, b = np.arange(5, dtype=np.uint64), np.arange(6, dtype=np.uint64)
+    held = frozenset({jaccard_join.fingerprint(a)})
+    assert jaccard_join.text_key(a, held) == jaccard_join.fingerprint(a, 1) != jaccard_join.fingerprint(a)
+    assert jaccard_join.text_key(b, held) == jaccard_join.fingerprint(b)
+
+
+def test_keep_first_of_repeated_rows_and_ids(spark):
+    near = " ".join(f"a{i}" for i in range(60))
+    rows = [(1, near, "p"), (1, near, "q"), (1, near + " z", "p"), (2, near, "p"), (3, "alone here", "p"), (3, "alone here", "p"), (None, near, "p"), (None, near, "p"), (4, None, "p"), (4, " ", "p")]
+    got = Counter((r.doc_id, r.text) for r in jaccard_join.keep_first(spark.createDataFrame(rows, "doc_id long, text string, root string")).collect())
+    first = got.pop((1, near), 0) + got.pop((1, near + " z"), 0)
+    assert first == 1 and got == {(3, "alone here"): 1, (None, near): 2, (4, None): 1, (4, " "): 1}
 
 
 def test_mixing_fill():
