@@ -39,7 +39,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import arrow_map, blocks, drop_rows, join_bounded, mix, saved, signed, word_hashes
+from .common import BROADCAST_ROWS, arrow_map, blocks, drop_rows, join_bounded, mix, saved, signed, word_hashes
 
 SHINGLE = 5
 _ODD = mix(np.arange(11, 11 + SHINGLE, dtype=np.uint64)) | np.uint64(1)
@@ -51,6 +51,8 @@ FREQUENT_SHARE = 0.01
 MOST_FREQUENT = 1 << 20
 #: Fingerprints that different sets share, at most: among 10**11 texts some hundreds are expected.
 MOST_COLLISIONS = 1 << 18
+#: Parts of a text's rows when components are joined back by shuffle.
+SALTS = 16
 
 
 def shingle_sets(raw: np.ndarray, offs: np.ndarray, shingle: int = SHINGLE) -> list[np.ndarray]:
@@ -185,7 +187,7 @@ def prefix_rows(body: DataFrame, seen: DataFrame, texts: DataFrame, collided: fr
 
 
 def linked_texts(docs: DataFrame, threshold: int, shingle: int, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
-    """(id, text_hash, n, fp) of every row, and (node, root) of the texts that are linked."""
+    """(id, text_hash, n, fp) of every row, and (fp, first, rows, root) of every text: its least (id, text_hash), its rows, its component."""
     if not 0 < threshold <= 100:
         raise ValueError("the threshold is a per cent")
     text = F.col(text_col).cast("string")
@@ -198,15 +200,17 @@ def linked_texts(docs: DataFrame, threshold: int, shingle: int, id_col: str, tex
     if collided:
         wide = body.sparkSession.createDataFrame([(x,) for x in collided], "of long")
         seen = saved(seen.join(F.broadcast(wide), F.col("fp") == F.col("of"), "left").withColumn("fp", F.when(F.col("of").isNull(), F.col("fp")).otherwise(F.col("fp2"))).drop("of"))
-    texts = saved(seen.where("id is not null and n > 0").groupBy("fp").agg(F.min("id").alias("id"), F.first("n").alias("n")))
+    texts = saved(seen.where("id is not null and n > 0").groupBy("fp").agg(F.min(F.struct("id", "text_hash")).alias("first"), F.first("n").alias("n"), F.count("*").alias("rows")))
     rows = prefix_rows(body, seen, texts, collided, threshold, shingle)
 
     def links(pairs: DataFrame) -> DataFrame:
         """Pairs that are linked, by their whole sets; only the texts of these pairs are read again."""
         texts_in = pairs.select(F.col("a").alias("fp")).union(pairs.select("b")).distinct()
-        wanted = saved(texts.select("fp", "id").join(texts_in, "fp", "left_semi"))
-        found = arrow_map(join_bounded(body, wanted, "id", "inner", wanted.count()).select("fp", "body"), _sets(shingle, collided), "fp long, toks array<long>")
-        sets = saved(found.dropDuplicates(["fp"]))
+        wanted = saved(texts.select("fp", "first.id").join(texts_in, "fp", "left_semi"))
+        count = wanted.count()
+        sets = saved(arrow_map(join_bounded(body, wanted, "id", "inner", count).select("fp", "body"), _sets(shingle, collided), "fp long, toks array<long>"))
+        if sets.count() > count:  # repeated rows
+            sets = saved(sets.dropDuplicates(["fp"]))
         both = pairs.join(sets.withColumnsRenamed({"fp": "a"}), "a").join(sets.withColumnsRenamed({"fp": "b", "toks": "core"}), "b")
         return saved(both.where(_linked(threshold, "toks", "core")).select("a", "b"))
 
@@ -219,7 +223,6 @@ def linked_texts(docs: DataFrame, threshold: int, shingle: int, id_col: str, tex
     star = star.groupBy("fp").agg(F.max_by("centre", F.struct("shared", "centre")).alias("centre"))
     first = links(saved(star.select(F.col("fp").alias("a"), F.col("centre").alias("b"))))
     rows = rows.join(components(first), F.col("fp") == F.col("node"), "left").select("token", "fp", "n", "pos", F.coalesce("root", "fp").alias("grp"))
-    rows = saved(rows)
     several = rows.groupBy("token").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo < hi").select("token")
     rows = saved(rows.join(several, "token"))
 
@@ -236,15 +239,24 @@ def linked_texts(docs: DataFrame, threshold: int, shingle: int, id_col: str, tex
     need = (100 + threshold) * F.least(F.col("n") - F.col("pos"), F.col("m") - F.col("at")) >= threshold * (F.col("n") + F.col("m"))
     pairs = asks.join(member, ["token", "grp"]).where("n > m or n = m and a > b").where(100 * F.col("m") >= threshold * F.col("n")).where(need)
     final = components(saved(first.union(links(saved(pairs.select("a", "b").distinct())))))
-    return seen.select("id", "text_hash", "n", "fp"), final
+    return seen.select("id", "text_hash", "n", "fp"), texts.join(final, F.col("fp") == F.col("node"), "left").select("fp", "first", "rows", F.coalesce("root", "fp").alias("root"))
 
 
 def _named(docs: DataFrame, threshold: int, shingle: int, id_col: str, text_col: str) -> DataFrame:
-    """(id, text_hash, n, root, first): ``first`` is the least (id, text_hash) of the row's component."""
-    seen, final = linked_texts(docs, threshold, shingle, id_col, text_col)
-    named = seen.join(final, F.col("fp") == F.col("node"), "left").select("id", "text_hash", "n", F.coalesce("root", "fp").alias("root"))
-    least = named.where("id is not null and root is not null").groupBy("root").agg(F.min(F.struct("id", "text_hash")).alias("first"))
-    return named.join(least, "root", "left")
+    """(id, text_hash, n, first): ``first`` is the least (id, text_hash) of the row's component, null if the row is alone.
+
+    Components are put together by text, so copies meet in no task; only texts of components with two or
+    more rows are joined back, by broadcast under the bound, else with salted keys.
+    """
+    seen, texts = linked_texts(docs, threshold, shingle, id_col, text_col)
+    texts = saved(texts)
+    several = saved(texts.groupBy("root").agg(F.min("first").alias("least"), F.sum("rows").alias("rows")).where("rows > 1").select("root", "least"))
+    of_text = saved(join_bounded(texts.select("fp", "root"), several, "root", "inner", several.count()).select("fp", F.col("least").alias("first")))
+    count = of_text.count()
+    if count <= BROADCAST_ROWS:
+        return join_bounded(seen, of_text, "fp", "left", count).select("id", "text_hash", "n", "first")
+    salt = F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)))
+    return seen.withColumn("salt", F.pmod(F.xxhash64("id", "text_hash"), F.lit(SALTS)).cast("int")).join(of_text.withColumn("salt", salt), ["fp", "salt"], "left").select("id", "text_hash", "n", "first")
 
 
 def near_duplicates(docs: DataFrame, threshold: int = 80, shingle: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -259,7 +271,7 @@ def keep_first(docs: DataFrame, threshold: int = 80, shingle: int = SHINGLE, id_
     Rows with a null id and rows without a word stay.  Of rows that are equal in id and text one stays
     (any, if other columns differ).
     """
-    named = saved(_named(docs, threshold, shingle, id_col, text_col).where("id is not null and root is not null"))
+    named = saved(_named(docs, threshold, shingle, id_col, text_col).where("id is not null and first is not null"))
     out = drop_rows(docs, named.where(F.struct("id", "text_hash") != F.col("first")).select("id", "text_hash"), id_col, text_col)
     again = saved(named.groupBy("id", "text_hash").agg(F.count("*").alias("rows")).where("rows > 1").select(F.col("id").alias("_px_id"), F.col("text_hash").alias("_px_hash")))
     if not (n := again.count()):
