@@ -1,9 +1,9 @@
-"""License scan: an Aho-Corasick automaton finds identifier tags and notice phrases in one pass over
-each text; the expression behind a tag is parsed by a shunting-yard parser and evaluated.
+"""License scan: an Aho-Corasick automaton over words finds identifier tags and notice phrases in one pass
+over each text; the expression behind a tag is parsed by a shunting-yard parser and evaluated.
 
 Words are runs of letters, digits and non-ASCII characters, A-Z in lower case; a phrase matches where
 its words stand consecutively.  Labels: one per phrase, and the families named in a valid expression.
-The score is one minus the product of ``1 - weight`` over the distinct kinds of evidence.
+An expression goes to the end of its line; what follows it there is prose.  The score is one minus the product of ``1 - weight`` over the distinct kinds of evidence.
 
 Null and empty texts have no words, places or labels (score 0).  Rows are judged one by one.
 """
@@ -13,7 +13,7 @@ from __future__ import annotations
 import re
 from collections.abc import Iterator
 
-import ahocorasick
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -55,8 +55,10 @@ PERMISSIVE = frozenset({"mit", "apache", "bsd", "isc", "bsl", "zlib", "cc-by", "
 
 _PRECEDENCE = {"or": 1, "and": 2, "with": 3}
 _TOKEN = re.compile(r"\(|\)|[A-Za-z0-9.+:-]+")
-_TAG = re.compile(r"(?i)spdx-license-identifier\s*:\s*")
-_LINE_END = re.compile(r"[\n\r*]|\Z")
+_COLON = re.compile(rb"\s*:\s*")
+_LINE_END = re.compile(rb"[\n\r*]|\Z")
+#: Names of no known family that may still be licenses: with a digit, a hyphen or capitals only.
+_NAME = re.compile(r"(?=.*[0-9-])[A-Za-z0-9.+:-]+|[A-Z.+]{2,}")
 _WORD_BYTES = bytes((c + 32 if 65 <= c <= 90 else c) if (48 <= c <= 57 or 65 <= c <= 90 or 97 <= c <= 122 or c > 127) else 32 for c in range(256))
 
 
@@ -65,21 +67,33 @@ def family(identifier: str) -> str:
     return next((f for start, f in FAMILIES if low.startswith(start)), "other")
 
 
+def is_name(token: str) -> bool:
+    return family(token) != "other" or _NAME.fullmatch(token) is not None
+
+
 def to_postfix(text: str, start: int = 0, end: int | None = None) -> list[str] | None:
-    """Postfix form of the license expression in text[start:end] (``with`` binds most, then ``and``, then ``or``), None if it is malformed."""
+    """Postfix form of the license expression in text[start:end] (``with`` binds most, then ``and``, then ``or``), None if it is malformed.
+
+    Words that can't be names of licenses end the expression, with the operator before them.
+    """
     out: list[str] = []
     waiting: list[str] = []
     operand_next = True
-    for found in _TOKEN.finditer(text, start, len(text) if end is None else end):
-        token = found[0]
+    depth = 0
+    tokens = _TOKEN.finditer(text, start, len(text) if end is None else end)
+    ahead = next(tokens, None)
+    while ahead is not None:
+        token, ahead = ahead[0], next(tokens, None)
         op = token.lower()
         if token == "(":
             if not operand_next:
                 return None
             waiting.append(token)
+            depth += 1
         elif token == ")":
-            if operand_next:
+            if operand_next or not depth:
                 return None
+            depth -= 1
             while waiting and waiting[-1] != "(":
                 out.append(waiting.pop())
             if not waiting:
@@ -88,11 +102,15 @@ def to_postfix(text: str, start: int = 0, end: int | None = None) -> list[str] |
         elif op in _PRECEDENCE:
             if operand_next:
                 return None
+            if not depth and ahead is not None and ahead[0] != "(" and ahead[0].lower() not in _PRECEDENCE and not is_name(ahead[0]):
+                break  # prose after the expression
             while waiting and waiting[-1] != "(" and _PRECEDENCE[waiting[-1]] >= _PRECEDENCE[op]:
                 out.append(waiting.pop())
             waiting.append(op)
             operand_next = True
         else:
+            if operand_next and not is_name(token):
+                return None
             if not operand_next:
                 break  # prose after the expression
             out.append(token)
@@ -126,44 +144,100 @@ def evaluate(text: str, start: int = 0, end: int | None = None) -> tuple[frozens
     return stack[0] if len(stack) == 1 else None
 
 
-def build_automaton() -> ahocorasick.Automaton:
-    """Phrases between single spaces, so that they match whole words."""
-    found = ahocorasick.Automaton()
-    for phrase in {*BASE_PHRASES, *NOTICES, TAG}:
-        found.add_word(f" {phrase} ", (phrase, len(phrase) + 2))
-    found.make_automaton()
-    return found
+class PhraseAutomaton:
+    """Aho-Corasick over words: all places of all phrases, in one pass."""
+
+    def __init__(self, phrases):
+        self.goto: list[dict[bytes, int]] = [{}]
+        self.found: list[list[tuple[str, int]]] = [[]]
+        for phrase in sorted(phrases):
+            at = 0
+            words = phrase.encode().split()
+            for w in words:
+                to = self.goto[at].get(w)
+                if to is None:
+                    to = self.goto[at][w] = len(self.goto)
+                    self.goto.append({})
+                    self.found.append([])
+                at = to
+            self.found[at].append((phrase, len(words)))
+        self.fail = [0] * len(self.goto)
+        level = list(self.goto[0].values())
+        while level:
+            for v in level:
+                for w, to in self.goto[v].items():
+                    z = self.fail[v]
+                    while z and w not in self.goto[z]:
+                        z = self.fail[z]
+                    self.fail[to] = self.goto[z].get(w, 0)
+                    self.found[to] = self.found[to] + self.found[self.fail[to]]
+            level = [to for v in level for to in self.goto[v].values()]
+
+    def places(self, words: list[bytes]) -> Iterator[tuple[str, int]]:
+        """(phrase, number of its first word)."""
+        goto, fail, found = self.goto, self.fail, self.found
+        first, state = goto[0].get, 0
+        for i, w in enumerate(words):
+            if state:
+                while state and w not in goto[state]:
+                    state = fail[state]
+                state = goto[state].get(w, 0)
+            else:
+                state = first(w, 0)
+            for phrase, size in found[state] if state else ():
+                yield phrase, i - size + 1
+
+
+def build_automaton() -> PhraseAutomaton:
+    return PhraseAutomaton({*BASE_PHRASES, *NOTICES, TAG})
+
+
+def tag_values(text: bytes, plain: bytes, tags: list[int]) -> Iterator[tuple[frozenset, bool]]:
+    """What the expression behind each tag says; ``tags`` are the numbers of their first words, in order."""
+    letters = np.frombuffer(plain, np.uint8) != 32
+    letters[1:] &= ~letters[:-1].copy()
+    starts = np.flatnonzero(letters)
+    size = len(TAG.split()[-1])
+    line_end = -1
+    for tag in tags:
+        colon = _COLON.match(text, int(starts[tag + 2]) + size)
+        if colon is None:
+            continue
+        if colon.end() > line_end:
+            line_end = _LINE_END.search(text, colon.end()).start()
+        value = evaluate(text[colon.end() : _expression_end(text, colon.end(), line_end)].decode("utf-8", "replace"))
+        if value is not None:
+            yield value
+
+
+_NEXT_TAG = re.compile(rb"(?i)spdx\W*license\W*identifier")
 
 
-def tag_lines(text: str) -> Iterator[tuple[int, int]]:
-    """Where the expression behind each identifier tag starts, and where its line ends."""
-    end = -1
-    for tag in _TAG.finditer(text):
-        if tag.end() > end:
-            end = _LINE_END.search(text, tag.end()).start()
-        yield tag.end(), end
+def _expression_end(text: bytes, start: int, line_end: int) -> int:
+    """A line's next tag ends an expression."""
+    other = _NEXT_TAG.search(text, start, line_end)
+    return other.start() if other else line_end
 
 
-def scan_text(text: bytes, automaton: ahocorasick.Automaton) -> tuple:
-    words = text.translate(_WORD_BYTES).split()
-    line = f" {b' '.join(words).decode('utf-8', 'replace')} "
-    places, base, labels, weights, permissive, tagged = [], set(), set(), {}, None, False
-    for end, (phrase, size) in automaton.iter(line):
+def scan_text(text: bytes, automaton: PhraseAutomaton) -> tuple:
+    plain = text.translate(_WORD_BYTES)
+    words = plain.split()
+    places, base, labels, weights, permissive, tags = [], set(), set(), {}, None, []
+    for phrase, at in automaton.places(words):
         if phrase in BASE_PHRASES:
-            places.append(line.count(" ", 0, end - size + 1))
+            places.append(at)
             base.add(BASE_PHRASES[phrase])
             weights[phrase] = BASE_WEIGHT
-        elif phrase == TAG and not tagged:
-            tagged, whole = True, text.decode("utf-8", "replace")
-            for start, stop in tag_lines(whole):
-                if (value := evaluate(whole, start, stop)) is not None:
-                    labels |= value[0]
-                    weights[TAG] = TAG_WEIGHT
-                    permissive = value[1] if permissive is None else permissive and value[1]
+        elif phrase == TAG:
+            tags.append(at)
         if phrase in NOTICES:
             label, weight = NOTICES[phrase]
             labels.add(label)
             weights[phrase] = weight
+    for named, may in tag_values(text, plain, tags) if tags else ():
+        labels |= named
+        weights[TAG] = TAG_WEIGHT
+        permissive = may if permissive is None else permissive and may
     rest = 1.0
     for phrase in sorted(weights):
         rest *= 1 - weights[phrase]

@@ -9,6 +9,10 @@ from . import context_mixing, decontaminate, host_quality, jaccard_join, license
 from .common import load
 
 
+#: Vocabulary file of the word-piece query.
+VOCABULARY = "/opt/tokenizers/word_bpe_49k.json"
+
+
 def op1_context_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return context_mixing.score_documents(load(spark, sf_dir, "documents"))
 
@@ -46,7 +50,7 @@ def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_word_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return word_pieces.count_pieces(load(spark, sf_dir, "documents"))
+    return word_pieces.count_pieces(load(spark, sf_dir, "documents"), VOCABULARY)
 
 
 def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -122,7 +126,8 @@ def _sql7() -> str:
 
     rules = sorted(url_filter.RULES, key=lambda r: -len(r[1]) - len(r[2]))
     fits = [(v, h + p, f"(host = '{h}' OR ends_with(host, '.{h}')) AND starts_with(path, '{p}')") for v, h, p in rules]
-    as_regex = lambda g: "(?s)" + "".join(".*" if c == "*" else "." if c == "?" else re.escape(c) for c in g)
+    signs = lambda g: re.findall(r"\\\\.|.", g, re.S)
+    as_regex = lambda g: "(?s)" + "".join(".*" if c == "*" else "." if c == "?" else re.escape(c[-1]) for c in signs(g))
     any_of = lambda verdict: " OR ".join(f"regexp_full_match(canonical, '{as_regex(g)}')" for v, g in url_filter.GLOBS if v == verdict)
     return rf"""
 WITH u AS (SELECT page_id, translate(regexp_extract(coalesce(url, ''), '://([^/?#]*)', 1), {_ALPHA}) AS host, regexp_extract(coalesce(url, ''), '://[^/?#]*([^?#]*)', 1) AS path,

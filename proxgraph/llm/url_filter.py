@@ -6,10 +6,12 @@ step per character moves every active place of every glob at once, for a whole b
 loop on any character).  Places after a run of stars are entered together with the place before.
 
 Globs are matched against the canonical URL: host in lower case (A-Z), then path, then ``?query``
-if there is one; scheme and fragment are dropped.  ``*`` is any string, ``?`` any one byte.
+if there is one; scheme and fragment are dropped.  ``*`` is any string, ``?`` any one byte, and a
+backslash takes the next sign as it is.
 Host rules win over globs; among the globs, any allow glob wins over block globs; else ``default``.
 
-Null URLs and URLs without ``://`` have an empty host and path and match only globs of stars.
+Null URLs and URLs without ``://`` have an empty host and path and match only globs of stars.  Rows are
+judged one by one, so repeated rows have the same verdict.
 """
 
 from __future__ import annotations
@@ -36,8 +38,8 @@ RULES = (
 #: (verdict, glob) for the rest.
 GLOBS = (
     ("allow", "*/robots.txt"),
-    ("block", "*?*utm_source=*"),
-    ("block", "*?*sessionid=*"),
+    ("block", r"*\?*utm_source=*"),
+    ("block", r"*\?*sessionid=*"),
     ("block", "*/login*"),
     ("block", "*/cart/*"),
     ("block", "ads.*"),
@@ -59,8 +61,11 @@ class GlobAutomaton:
         for g in self.globs:
             begin.append(len(places))
             places.append((-1, False))  # the start of a glob is never entered by a shift
-            for b in g.encode():
-                if b == 42:
+            signs = iter(g.encode())
+            for b in signs:
+                if b == 92 and (taken := next(signs, None)) is not None:
+                    places.append((taken, False))
+                elif b == 42:
                     places[-1] = (places[-1][0], True)
                 else:
                     places.append((None if b == 63 else b, False))

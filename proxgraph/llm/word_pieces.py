@@ -5,8 +5,9 @@ its string reaches after the greedy pieces at its front are cut off; the number
 stored with it.  Reading a word is then one step per byte, and the count is a sum of stored numbers:
 no piece is ever built.
 
-A vocabulary entry is a byte string; end-of-word marks of the file are left out, so a piece may stand
-anywhere in a word.  Words are runs of letters, digits and non-ASCII bytes, or single other ASCII
+A vocabulary entry is a byte string.  Entries with the file's end-of-word mark match at the end of a word
+only, the others before it only: the last byte of a word is a symbol of its own (the byte plus 256), so
+both kinds share the trie.  Without marked entries every piece may stand anywhere.  Words are runs of letters, digits and non-ASCII bytes, or single other ASCII
 signs, in lower case (A-Z).  A word with a part that no piece begins is one unknown token.
 
 Null and empty texts have no words.  Rows are counted one by one.
@@ -24,10 +25,11 @@ from pyspark.sql import functions as F
 
 from .common import arrow_map, binary_column
 
-VOCABULARY = "/opt/tokenizers/word_bpe_49k.json"
 _UNIT = re.compile(rb"[0-9a-z\x80-\xff]+|[^\s]")
 #: Words whose counts a task keeps; the memory bound of the cache, which is then started anew.
 CACHE = 400_000
+#: What the last byte of a word has on top.
+_LAST = 256
 
 
 def _printable_bytes() -> dict[str, int]:
@@ -37,27 +39,29 @@ def _printable_bytes() -> dict[str, int]:
     return {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
-def read_vocabulary(path: str = VOCABULARY, end_mark: str = "</w>") -> list[bytes]:
-    """Pieces of a tokenizer file, without the ``end_mark`` of word-final entries."""
+def read_vocabulary(path: str, end_mark: str = "</w>") -> tuple[list[bytes], list[bytes]]:
+    """(pieces inside words, pieces at the end of words) of a tokenizer file."""
     with open(path, encoding="utf-8") as f:
         entries = json.load(f)["model"]["vocab"]
     back = _printable_bytes()
-    pieces = []
+    inside, last = set(), set()
     for entry in entries:
         body = entry.removesuffix(end_mark)
         if body and all(c in back for c in body):
-            pieces.append(bytes(back[c] for c in body))
-    return sorted(set(pieces))
+            (last if body != entry else inside).add(bytes(back[c] for c in body))
+    return sorted(inside), sorted(last)
 
 
 class PieceCounter:
-    """The automaton of a vocabulary."""
+    """The automaton of a vocabulary; ``last`` are the pieces that end a word (None: all pieces)."""
 
-    def __init__(self, pieces: Iterable[bytes]):
+    def __init__(self, pieces: Iterable[bytes], last: Iterable[bytes] | None = None):
+        pieces = list(pieces)
         self.next: list[dict[int, int]] = [{}]
         final = [False]
         parent = [(0, 0)]
-        for piece in pieces:
+        ending = [[*p[:-1], p[-1] + _LAST] for p in (pieces if last is None else last) if p]
+        for piece in [*map(list, pieces), *ending]:
             at = 0
             for c in piece:
                 to = self.next[at].get(c)
@@ -67,7 +71,7 @@ class PieceCounter:
                     final.append(False)
                     parent.append((at, c))
                 at = to
-            final[at] = True
+            final[at] = at > 0
         self.link = [-1] * len(self.next)
         self.popped = [0] * len(self.next)
         level = list(self.next[0].values())
@@ -88,7 +92,7 @@ class PieceCounter:
         """Pieces of a word; 0 if it can't be cut into pieces."""
         nexts, link, popped = self.next, self.link, self.popped
         at = n = 0
-        for c in word:
+        for c in (*word[:-1], word[-1] + _LAST) if word else ():
             while (to := nexts[at].get(c)) is None:
                 if link[at] < 0:
                     return 0
@@ -103,9 +107,9 @@ class PieceCounter:
         return n
 
 
-def _count(pieces: list[bytes]):
+def _count(pieces: list[bytes], last: list[bytes] | None):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counter, kept = PieceCounter(pieces), {}
+        counter, kept = PieceCounter(pieces, last), {}
 
         def of(word: bytes) -> tuple[int, int, int]:
             units = _UNIT.findall(word)
@@ -133,11 +137,11 @@ def _count(pieces: list[bytes]):
     return run
 
 
-def count_pieces(docs: DataFrame, vocabulary: str | Iterable[bytes] = VOCABULARY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def count_pieces(docs: DataFrame, vocabulary: str | Iterable[bytes], id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per input row: id, n_units (words and signs), n_tokens, n_unknown.
 
-    A vocabulary file is read by the driver; its pieces (about a megabyte) go out with the tasks.
+    ``vocabulary`` is the path of a tokenizer file or a list of pieces.  A vocabulary file is read by the driver; its pieces (about a megabyte) go out with the tasks.
     """
-    pieces = read_vocabulary(vocabulary) if isinstance(vocabulary, str) else sorted(set(vocabulary))
+    pieces, last = read_vocabulary(vocabulary) if isinstance(vocabulary, str) else (sorted(set(vocabulary)), None)
     body = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").cast("binary").alias("body"))
-    return arrow_map(body, _count(pieces), "id long, n_units long, n_tokens long, n_unknown long").withColumnRenamed("id", id_col)
+    return arrow_map(body, _count(pieces, last), "id long, n_units long, n_tokens long, n_unknown long").withColumnRenamed("id", id_col)
