@@ -73,7 +73,8 @@ l AS (SELECT doc_id, i, ls[i] AS x FROM (SELECT doc_id, ls, unnest(range(1, len(
 f AS (SELECT doc_id, i, x, row_number() OVER (PARTITION BY doc_id ORDER BY i) AS p FROM l WHERE regexp_matches(x, '[^\x20\x09-\x0D]')),
 w AS (SELECT doc_id, p, x, lead(x) OVER (PARTITION BY doc_id ORDER BY p) AS y FROM f),
 later AS (SELECT doc_id, p FROM (SELECT doc_id, p, row_number() OVER (PARTITION BY x, y ORDER BY doc_id, p) AS k FROM w WHERE y IS NOT NULL) WHERE k > 1),
-gone AS (SELECT DISTINCT doc_id, i FROM f JOIN (SELECT doc_id, unnest([p, p + 1]) AS p FROM later) USING (doc_id, p)),
+long AS (SELECT doc_id, i, row_number() OVER (PARTITION BY x ORDER BY doc_id, i) AS k FROM l WHERE len(regexp_extract_all(x, '[^\x20\x09-\x0D]+')) >= 50),
+gone AS (SELECT doc_id, i FROM f JOIN (SELECT doc_id, unnest([p, p + 1]) AS p FROM later) USING (doc_id, p) UNION SELECT doc_id, i FROM long WHERE k > 1),
 k AS (SELECT l.doc_id, string_agg(l.x, chr(10) ORDER BY l.i) AS kept FROM l LEFT JOIN gone g ON g.doc_id = l.doc_id AND g.i = l.i WHERE g.i IS NULL GROUP BY 1)
 SELECT a.doc_id, coalesce(n.c, 0) AS n_lines, coalesce(r.c, 0) AS n_removed_lines, sha256(coalesce(k.kept, '')) AS kept_sha256
 FROM a LEFT JOIN k USING (doc_id) LEFT JOIN (SELECT doc_id, count(*) AS c FROM f GROUP BY 1) n USING (doc_id)
@@ -126,7 +127,7 @@ def _sql7() -> str:
 
     rules = sorted(url_filter.RULES, key=lambda r: -len(r[1]) - len(r[2]))
     fits = [(v, h + p, f"(host = '{h}' OR ends_with(host, '.{h}')) AND starts_with(path, '{p}')") for v, h, p in rules]
-    signs = lambda g: re.findall(r"\\\\.|.", g, re.S)
+    signs = lambda g: re.findall(r"\\.|.", g, re.S)
     as_regex = lambda g: "(?s)" + "".join(".*" if c == "*" else "." if c == "?" else re.escape(c[-1]) for c in signs(g))
     any_of = lambda verdict: " OR ".join(f"regexp_full_match(canonical, '{as_regex(g)}')" for v, g in url_filter.GLOBS if v == verdict)
     return rf"""
