@@ -79,7 +79,7 @@ def rel_range_join(spark: SparkSession, d: str) -> DataFrame:
     return relational.range_lookup(points, ranges, "x", "lo", "hi", 256).select("i", "c_custkey")
 
 
-@_add("WITH e AS (SELECT DISTINCT o_custkey AS c, l_partkey AS p FROM lineitem JOIN orders ON o_orderkey = l_orderkey) SELECT a.p AS p, b.p AS q, count(*) AS shared FROM e a JOIN e b ON a.c = b.c AND a.p < b.p WHERE a.p < 20 GROUP BY 1, 2 HAVING count(*) > 1")
+@_add("WITH e AS (SELECT DISTINCT o_custkey AS c, l_partkey AS p FROM lineitem JOIN orders ON o_orderkey = l_orderkey) SELECT a.p AS p, b.p AS q, count(*) AS shared FROM e a JOIN e b ON a.c = b.c AND a.p < b.p GROUP BY 1, 2 HAVING count(*) > 1")
 def rel_common_neighbours(spark: SparkSession, d: str) -> DataFrame:
     """All pairs of parts that share two customers or more."""
     o = table(spark, d, "orders").select(F.col("o_orderkey").alias("l_orderkey"), F.col("o_custkey").alias("c"))

@@ -162,7 +162,7 @@ _SQL = {
     "part_supp": "SELECT 4 * l_partkey + 1 AS src, 4 * l_suppkey + 2 AS dst FROM lineitem",
     "page_link": "SELECT 4 * page_id AS src, 4 * dense_rank() OVER (ORDER BY link) + 1 AS dst FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]+)\"', 1)) AS link FROM pages)",
     "geo_tree": "SELECT 4 * n_regionkey::BIGINT AS src, 4 * n_nationkey::BIGINT + 1 AS dst FROM nation UNION ALL SELECT 4 * c_nationkey::BIGINT + 1, 4 * c_custkey + 2 FROM customer UNION ALL SELECT 4 * o_custkey + 2, 4 * o_orderkey + 3 FROM orders",
-    "doc_word": "SELECT 4 * doc_id AS src, 4 * dense_rank() OVER (ORDER BY word) + 1 AS dst FROM (SELECT doc_id, unnest(string_split(lower(left(text, 400)), ' ')) AS word FROM documents) WHERE word <> ''",
+    "doc_word": "SELECT 4 * doc_id AS src, 4 * dense_rank() OVER (ORDER BY word) + 1 AS dst FROM (SELECT doc_id, unnest(string_split(lower(text), ' ')) AS word FROM documents) WHERE word <> ''",
     "knn10": "SELECT a AS src, b AS dst FROM (SELECT x.vec_id AS a, y.vec_id AS b, row_number() OVER (PARTITION BY x.vec_id ORDER BY round(list_cosine_similarity(x.embedding::DOUBLE[], y.embedding::DOUBLE[]), 9) DESC, y.vec_id) AS k FROM embeddings x JOIN embeddings y ON x.vec_id <> y.vec_id) WHERE k <= 10",
 }
 
