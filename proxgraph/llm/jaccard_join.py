@@ -17,10 +17,10 @@ union can reach the threshold.
    ``(1 - t) / (1 + t) m`` of the smaller (its matrix rows).
 4. Grouping: among the texts with a probe row of a token the one that shares most is the centre; each text
    is compared with its most frequent centre.  Components of these links are the groups.
-5. The matrix has, for each token and group, the sizes of the members with that token in their matrix
-   rows and the most tokens that any of them has from there on: the token union of the group with its
-   bound.  A text asks with its probe rows; the smaller of what the two sides can still share bounds
-   the overlap with every member.  A group that can't reach the threshold stays closed.
+5. The matrix has, for each group, set size and token, the most tokens that any member of that size has
+   from there on in its matrix rows: the token union of the group, split by size, with its bound.  A text
+   asks with its probe rows; the smaller of what the two sides can still share bounds the overlap with
+   every member.  A group that can't reach the threshold stays closed.
 6. The members of open groups that meet the bound themselves are compared by their whole sets.  Every
    linked pair is in one group by step 4 or is compared here, so no link is lost.
 7. Components of all links give the result, as the smallest id of each.
@@ -35,7 +35,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -173,12 +173,15 @@ def prefix_rows(body: DataFrame, seen: DataFrame, texts: DataFrame, collided: fr
     spark = body.sparkSession
     least = F.lit(FREQUENT_SHARE) * F.lit(seen.count())
     often = seen.where("often is not null").select(F.explode(F.arrays_zip("often", "times")).alias("x")).groupBy(F.col("x.often").alias("token")).agg(F.sum("x.times").alias("times")).where(F.col("times") >= least)
-    held = often.orderBy(F.desc("times"), "token").limit(MOST_FREQUENT).select("token").toArrow()
-    frequent = spark.sparkContext.broadcast(np.sort(held.column("token").to_numpy().view(np.uint64)))
+    often = saved(often.orderBy(F.desc("times"), "token").limit(MOST_FREQUENT))
+    held = often.select("token").toArrow().column("token").to_numpy()
+    frequent = spark.sparkContext.broadcast(np.sort(held.view(np.uint64)))
     rows = arrow_map(body.where("id is not null").select("body"), _emit(shingle, collided, frequent), "key long, fp long, often long")
     own = Window.partitionBy("key")
     rows = rows.withColumn("lo", F.min("fp").over(own)).withColumn("hi", F.max("fp").over(own)).withColumn("df", F.count("*").over(own))
-    rows = rows.where("often is not null or lo < hi").select(F.coalesce("often", "key").alias("token"), "key", "fp", F.when(F.col("often").isNull(), F.col("df")).otherwise(F.lit(1 << 40)).alias("df")).dropDuplicates(["key", "fp"])
+    rows = rows.where("often is not null or lo < hi").select("key", "fp", "often", "df").dropDuplicates(["key", "fp"])
+    rows = join_bounded(rows, often.withColumnsRenamed({"token": "of"}), F.col("often") == F.col("of"), "left", len(held))
+    rows = rows.select(F.coalesce("often", "key").alias("token"), "fp", F.coalesce(F.lit(1 << 40) + F.col("times"), "df").alias("df"))
     # tokens of no other text come first and need no row: they only count
     per = Window.partitionBy("fp")
     placed = rows.join(texts.select("fp", "n"), "fp").withColumn("shared", F.count("*").over(per)).withColumn("rank", F.row_number().over(per.orderBy("df", "token")))
@@ -226,18 +229,20 @@ def linked_texts(docs: DataFrame, threshold: int, shingle: int, id_col: str, tex
     several = rows.groupBy("token").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo < hi").select("token")
     rows = saved(rows.join(several, "token"))
 
-    # the matrix: a row for each token of a group's union, with what bounds the overlap
+    # the matrix: a row for each token of the union of a group's members of one size, with what bounds the overlap
     inside = rows.where((100 + threshold) * (F.col("n") - F.col("pos")) >= 2 * threshold * F.col("n"))
-    matrix = inside.groupBy("token", F.col("grp").alias("other")).agg(F.min("n").alias("least"), F.max("n").alias("most"), F.max(F.col("n") - F.col("pos")).alias("reach"))
-    can = F.least(F.col("n") - F.col("pos"), F.col("reach"))
-    smallest = F.greatest(100 * F.col("least"), threshold * F.col("n"))  # a hundred times the size of the smallest member that could link
-    asks = rows.join(matrix, "token").where("grp <> other and n >= least").where(100 * F.col("most") >= threshold * F.col("n")).where(100 * (100 + threshold) * can >= threshold * (100 * F.col("n") + smallest))
-    asks = saved(asks.select("token", F.col("fp").alias("a"), "n", "pos", F.col("other").alias("grp")))
+    inside = inside.select("token", F.col("grp").alias("other"), F.col("n").alias("m"), F.col("fp").alias("b"), (F.col("n") - F.col("pos")).alias("rest"))
+    matrix = inside.groupBy("token", "other", "m").agg(F.max("rest").alias("reach"))
+    in_size = (F.col("n") >= F.col("m")) & (100 * F.col("m") >= threshold * F.col("n"))
+
+    def enough(can: str) -> Column:
+        return (100 + threshold) * F.least(F.col("n") - F.col("pos"), F.col(can)) >= threshold * (F.col("n") + F.col("m"))
+
+    asks = rows.join(matrix, "token").where("grp <> other").where(in_size).where(enough("reach"))
+    asks = saved(asks.select("token", F.col("fp").alias("a"), "n", "pos", "other", "m"))
 
     # open groups: their members under the same bound on the pair itself; the larger set asks
-    member = inside.select("token", "grp", F.col("fp").alias("b"), F.col("n").alias("m"), F.col("pos").alias("at"))
-    need = (100 + threshold) * F.least(F.col("n") - F.col("pos"), F.col("m") - F.col("at")) >= threshold * (F.col("n") + F.col("m"))
-    pairs = asks.join(member, ["token", "grp"]).where("n > m or n = m and a > b").where(100 * F.col("m") >= threshold * F.col("n")).where(need)
+    pairs = asks.join(inside, ["token", "other", "m"]).where("n > m or a > b").where(enough("rest"))
     final = components(saved(first.union(links(saved(pairs.select("a", "b").distinct())))))
     return seen.select("id", "text_hash", "n", "fp"), texts.join(final, F.col("fp") == F.col("node"), "left").select("fp", "first", "rows", F.coalesce("root", "fp").alias("root"))
 
