@@ -181,10 +181,14 @@ def prefix_rows(body: DataFrame, seen: DataFrame, texts: DataFrame, collided: fr
     rows = rows.withColumn("lo", F.min("fp").over(own)).withColumn("hi", F.max("fp").over(own)).withColumn("df", F.count("*").over(own))
     rows = rows.where("often is not null or lo < hi").select("key", "fp", "often", "df").dropDuplicates(["key", "fp"])
     rows = join_bounded(rows, often.withColumnsRenamed({"token": "of"}), F.col("often") == F.col("of"), "left", len(held))
-    rows = rows.select(F.coalesce("often", "key").alias("token"), "fp", F.coalesce(F.lit(1 << 40) + F.col("times"), "df").alias("df"))
+    # one number names a token and is its place in the order: 15 bits of how often, 48 of the token.  Two tokens that
+    # share it have the same rows and bounds; that can only add candidates.
+    often_class = F.lit(1 << 14) + F.least(F.floor(F.log2("times") * 256), F.lit((1 << 14) - 1))
+    token = F.shiftleft(F.coalesce(often_class, F.least("df", F.lit((1 << 14) - 1))).cast("long"), 48).bitwiseOR(F.coalesce("often", "key").bitwiseAND(F.lit((1 << 48) - 1)))
+    rows = rows.select(token.alias("token"), "fp")
     # tokens of no other text come first and need no row: they only count
     per = Window.partitionBy("fp")
-    placed = rows.join(texts.select("fp", "n"), "fp").withColumn("shared", F.count("*").over(per)).withColumn("rank", F.row_number().over(per.orderBy("df", "token")))
+    placed = rows.join(texts.select("fp", "n"), "fp").withColumn("shared", F.count("*").over(per)).withColumn("rank", F.row_number().over(per.orderBy("token")))
     placed = placed.select("token", "fp", "n", (F.col("n") - F.col("shared") + F.col("rank") - 1).alias("pos"))
     return saved(placed.where(100 * (F.col("n") - F.col("pos")) >= threshold * F.col("n")))
 
