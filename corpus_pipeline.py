@@ -48,7 +48,7 @@ STAGES = [
     ("source_mixing", source_mixing),
 ]
 
-#: Budgets are dealt by a loop that SQL has no form for; tests hold the pipeline against brute force.
+#: Budgets are dealt by a loop that SQL has no form for; tests hold the stages' operators against brute force.
 ORACLE_SQL = None
 
 
