@@ -2,7 +2,8 @@
 
 Results do not depend on how rows are laid out or whether a task is run again.  The portable
 generator uses 31-bit modular arithmetic that numpy, Spark SQL and DuckDB all have; with W walks about
-W**2 / 2**32 pairs of walks share their draws, so above a million walks take the 64-bit ones.
+W**2 / 2**32 pairs of walks share their draws.  The wide one is Spark's 64-bit xxHash of the five numbers,
+written again for numpy, so that both engines draw the same.
 """
 
 from __future__ import annotations
@@ -32,19 +33,40 @@ def draw(key: np.ndarray, step: int, lane: int) -> np.ndarray:
     return mix31((key + np.int64(2 * step + lane) * _LANE) % P)
 
 
+#: Fixed values of 64-bit xxHash, and the seed that Spark's function starts from.
+_XX1, _XX2, _XX3, _XX4, _XX5 = (
+    np.uint64(0x9E3779B185EBCA87),
+    np.uint64(0xC2B2AE3D27D4EB4F),
+    np.uint64(0x165667B19E3779F9),
+    np.uint64(0x85EBCA77C2B2AE63),
+    np.uint64(0x27D4EB2F165667C5),
+)
+_XX_START = 42
+
+
 def wide_key(seed: int, trial: np.ndarray, walk: np.ndarray) -> np.ndarray:
-    return _mix64(np.asarray(trial, np.uint64) * np.uint64(0x9E3779B97F4A7C15) + _mix64(np.asarray(walk, np.uint64) + np.uint64(seed & (1 << 63) - 1)))
+    trial, walk = np.broadcast_arrays(np.asarray(trial, np.int64), np.asarray(walk, np.int64))
+    key = np.full(walk.shape, _XX_START, np.uint64)
+    return _xx(_xx(_xx(key, np.int64(seed)), trial), walk)
 
 
 def wide_draw(key: np.ndarray, step: int, lane: int) -> np.ndarray:
     """An integer in [0, P) from 64 bits."""
-    return (_mix64(key + np.uint64((2 * step + lane + 1) * 0xD6E8FEB86659FD93 & (1 << 64) - 1)) % np.uint64(P)).astype(np.int64)
+    return _xx(_xx(key, np.int64(step)), np.int64(lane)).view(np.int64) % P
+
+
+def _rotated(x: np.ndarray, by: int) -> np.ndarray:
+    return (x << np.uint64(by)) | (x >> np.uint64(64 - by))
 
 
-def _mix64(h: np.ndarray) -> np.ndarray:
-    h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-    h = (h ^ (h >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-    return h ^ (h >> np.uint64(31))
+def _xx(state: np.ndarray, value) -> np.ndarray:
+    """xxHash of one 64-bit number from ``state``; ``state`` is an array, so sums wrap without a warning."""
+    value = np.atleast_1d(np.asarray(value, np.int64)).view(np.uint64)
+    h = (state + _XX5 + np.uint64(8)) ^ (_rotated(value * _XX2, 31) * _XX1)
+    h = _rotated(h, 27) * _XX1 + _XX4
+    h = (h ^ (h >> np.uint64(33))) * _XX2
+    h = (h ^ (h >> np.uint64(29))) * _XX3
+    return h ^ (h >> np.uint64(32))
 
 
 def stop_limit(alpha: float) -> int:
@@ -77,7 +99,8 @@ def draw_col(key: Column, step: Column, lane: int) -> Column:
 
 
 def wide_draw_col(seed: int, trial: Column, walk: Column, step: Column, lane: int) -> Column:
-    return F.pmod(F.xxhash64(F.lit(seed), trial, walk, step, F.lit(lane)), F.lit(P).cast("long"))
+    numbers = [x.cast("long") for x in (F.lit(seed), trial, walk, step, F.lit(lane))]
+    return F.pmod(F.xxhash64(*numbers), F.lit(P).cast("long"))
 
 
 # and as SQL text

@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..params import PprParams
-from ..storage import saved
+from ..storage import join_bounded, saved
 from . import kernels
 from .graph import Graph
 
@@ -78,13 +78,14 @@ def _reverse_kernel(graph: Graph, cands: DataFrame, p: PprParams, budget: float,
 
 
 def _reverse_frame(graph: Graph, cands: DataFrame, p: PprParams, budget: float, resume: DataFrame | None) -> tuple[DataFrame, PushTrace]:
-    limits = F.broadcast(saved(cands.select("target", "theta")))  # candidates: under 2 / tol rows by theory
+    limits = saved(cands.select("target", "theta"))
+    count = limits.count()
     arcs = graph.arcs.select(F.col("dst").alias("node"), "src", "out_deg")
     in_deg = graph.nodes.select(F.col("id").alias("node"), "in_deg")
     state = resume if resume is not None else cands.select("target", F.col("target").alias("node"), F.lit(0.0).alias("reserve"), F.lit(1.0).alias("residue"))
-    trace = PushTrace()
+    trace, held = PushTrace(), []
     while True:
-        marked = state.join(limits, "target").withColumn("hot", F.col("residue") > F.col("theta"))
+        marked = join_bounded(state, limits, "target", "inner", count).withColumn("hot", F.col("residue") > F.col("theta"))
         cost = marked.where("hot").join(in_deg, "node").agg(F.count("*"), F.sum("in_deg")).first()
         if not cost[0]:
             return state.select("target", "node", "reserve", "residue"), trace
@@ -96,7 +97,13 @@ def _reverse_frame(graph: Graph, cands: DataFrame, p: PprParams, budget: float,
         trace.cost += cost[1]
         trace.rounds += 1
         state = reverse_round(marked, arcs, p.alpha)
-        state = saved(state) if trace.rounds % p.table_every == 0 else state.persist()
+        if trace.rounds % p.table_every:
+            state = state.persist()
+            held.append(state)
+        else:
+            state = saved(state)
+            while held:
+                held.pop().unpersist()
 
 
 def reverse_round(marked: DataFrame, arcs: DataFrame, alpha: float) -> DataFrame:

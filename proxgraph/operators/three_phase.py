@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..params import PprParams, check_tol
-from ..storage import saved
+from ..storage import join_bounded, saved
 from . import power, push, walks
 from .graph import Graph
 
@@ -117,7 +117,11 @@ def search(graph: Graph, cands: DataFrame, first: int, trials: int, p: PprParams
 def combine(graph: Graph, ends: DataFrame, state: DataFrame, cands: DataFrame, source, trials: int, count: int) -> DataFrame:
     """(trial, target, est): reserve at the source plus residues at the walks' ends; a row for every trial and candidate."""
     starts = push.start_table(graph, source)
-    at_source = state.join(F.broadcast(starts), "node").groupBy("target").agg(F.sum(F.col("reserve") * F.col("weight")).alias("settled"))
+    many = 1
+    if isinstance(source, DataFrame):
+        starts = saved(starts)
+        many = starts.count()
+    at_source = join_bounded(state, starts, "node", "inner", many).groupBy("target").agg(F.sum(F.col("reserve") * F.col("weight")).alias("settled"))
     gain = ends.join(state.where("residue > 0"), "node").groupBy("trial", "target").agg(F.sum(F.col("cnt") / count * F.col("residue")).alias("gain"))
     grid = cands.select("target").withColumn("trial", F.explode(F.sequence(F.lit(0), F.lit(trials - 1))))
     out = grid.join(gain, ["trial", "target"], "left").join(at_source, "target", "left")

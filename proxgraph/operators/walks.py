@@ -12,6 +12,7 @@ from ..params import PprParams
 from ..storage import saved
 from . import kernels
 from .graph import Graph
+from .relational import cumulative
 
 CHUNK = 1 << 17
 MAX_ALIAS = 2_000_000
@@ -32,21 +33,33 @@ def alias_arrays(weights: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def alias_table(sources: DataFrame) -> DataFrame:
-    """(slot, node, accept, alias) of a (node, weight) table; weights of zero or less are left out.
+    """(slot, node, accept, alias) of a (node, weight) table, slots by node; weights of zero or less are left out.
 
-    The table is built on the driver, up to ``MAX_ALIAS`` sources.
+    Equal weights need no alias: their slots are numbered where they lie, for any number of sources.  Other
+    tables are built on the driver, up to ``MAX_ALIAS`` sources.
     """
-    rows = sources.where("weight > 0").groupBy("node").agg(F.sum("weight").alias("weight")).orderBy("node").limit(MAX_ALIAS + 1).toArrow()
-    if rows.num_rows > MAX_ALIAS:
-        raise ValueError(f"more than {MAX_ALIAS} sources")
-    if not rows.num_rows:
+    held = saved(sources.where("weight > 0").groupBy("node").agg(F.sum("weight").alias("weight")))
+    count, least, most = held.agg(F.count("*"), F.min("weight"), F.max("weight")).first()
+    if not count:
         raise ValueError("no source has a positive weight")
+    if least == most:
+        return _numbered(held.select("node"))
+    if count > MAX_ALIAS:
+        raise ValueError(f"more than {MAX_ALIAS} sources of different weights")
+    rows = held.orderBy("node").toArrow()
     node, weight = rows.column("node").to_numpy(), rows.column("weight").to_numpy().astype(float)
     accept, alias = alias_arrays(weight)
     table = pa.table({"slot": np.arange(len(node)), "node": node, "accept": accept, "alias": node[alias]})
     return sources.sparkSession.createDataFrame(table)
 
 
+def _numbered(nodes: DataFrame) -> DataFrame:
+    """The alias table of equal weights: slots from 0 in order of node, counted inside ranges of nodes."""
+    ranges = saved(nodes.repartitionByRange("node").withColumn("range", F.spark_partition_id()))
+    placed = cumulative(ranges.withColumn("one", F.lit(1).cast("long")), "one", ["node"], F.col("range"))
+    return saved(placed.select((F.col("running") - 1).alias("slot"), "node", F.lit(1.0).alias("accept"), F.col("node").alias("alias")))
+
+
 def simulate(graph: Graph, start, trials: int, walks: int, p: PprParams, with_steps: bool = False) -> DataFrame:
     """(trial, node, cnt) of ``trials`` times ``walks`` walks.
 
@@ -60,6 +73,7 @@ def simulate(graph: Graph, start, trials: int, walks: int, p: PprParams, with_st
 
 def _simulate_kernel(graph: Graph, start, trials: int, walks: int, p: PprParams, with_steps: bool) -> DataFrame:
     adjacency, total = graph.csr, trials * walks
+    rng = p.generator(total)
     if isinstance(start, DataFrame):
         t = alias_table(start).orderBy("slot").toArrow()
         place = adjacency.value.place
@@ -74,10 +88,10 @@ def _simulate_kernel(graph: Graph, start, trials: int, walks: int, p: PprParams,
         g = np.arange(row["id"] * CHUNK, min((row["id"] + 1) * CHUNK, total))
         trial, walk = g // walks, g % walks
         if isinstance(starts, tuple):
-            at = starts[2][kernels.pick_starts(starts[:2], trial, walk, p.seed, p.rng)]
+            at = starts[2][kernels.pick_starts(starts[:2], trial, walk, p.seed, rng)]
         else:
             at = np.full(len(g), starts)
-        ends, moves = kernels.run_walks(csr, at, trial, walk, p.seed, p.alpha, p.rng)
+        ends, moves = kernels.run_walks(csr, at, trial, walk, p.seed, p.alpha, rng)
         pair, cnt = np.unique(trial * len(csr.ids) + ends, return_counts=True)
         yield kernels.sparse_rows(["trial", "node", "cnt"], [pa.int32(), pa.int64(), pa.int64()], [pair // len(csr.ids), csr.ids[pair % len(csr.ids)], cnt])
         if with_steps:
@@ -89,11 +103,11 @@ def _simulate_kernel(graph: Graph, start, trials: int, walks: int, p: PprParams,
 
 
 def _simulate_frame(graph: Graph, start, trials: int, walks: int, p: PprParams) -> DataFrame:
-    spark, limit = graph.spark, prng.stop_limit(p.alpha)
+    spark, limit, rng = graph.spark, prng.stop_limit(p.alpha), p.generator(trials * walks)
     base = spark.range(trials * walks).select(F.floor(F.col("id") / walks).cast("int").alias("trial"), (F.col("id") % walks).alias("walk"))
 
     def drawn(step, lane: int):
-        if p.rng == "wide":
+        if rng == "wide":
             return prng.wide_draw_col(p.seed, F.col("trial"), F.col("walk"), step, lane)
         return prng.draw_col(prng.walk_key_col(p.seed, F.col("trial"), F.col("walk")), step, lane)
 

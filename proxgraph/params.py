@@ -6,6 +6,10 @@ import math
 from dataclasses import dataclass, replace
 
 
+#: Walks up to which "auto" takes the portable generator.
+PORTABLE_WALKS = 1 << 20
+
+
 @dataclass(frozen=True)
 class PprParams:
     """``alpha`` is the stop probability; the constants are those of the guarantee's proof.
@@ -15,7 +19,7 @@ class PprParams:
     theta_const   push threshold: tol^2 * walks / (theta_const * rough score)
     mode          halving search: "resume" continues the last accepted push, "restart" begins anew
     engine        "kernel" (adjacency broadcast to the tasks), "frame" (shuffles), or "auto" by size
-    rng           "portable" (31-bit, the same in SQL), "wide" (64-bit)
+    rng           "portable" (31-bit, the same in SQL), "wide" (64-bit), or "auto" by the number of walks
     cost_cap      "n2", a number of operations, or None: beyond it the power method answers
     """
 
@@ -26,7 +30,7 @@ class PprParams:
     theta_const: float = 6.0
     mode: str = "restart"
     engine: str = "auto"
-    rng: str = "portable"
+    rng: str = "auto"
     cost_cap: str | int | None = None
     force_walks: int | None = None
     force_trials: int | None = None
@@ -41,14 +45,20 @@ class PprParams:
             raise ValueError("alpha must be inside (0, 1)")
         if self.engine not in ("auto", "kernel", "frame"):
             raise ValueError("engine must be auto, kernel or frame")
-        if self.rng not in ("portable", "wide"):
-            raise ValueError("rng must be portable or wide")
+        if self.rng not in ("portable", "wide", "auto"):
+            raise ValueError("rng must be portable, wide or auto")
         if self.mode not in ("restart", "resume"):
             raise ValueError("mode must be restart or resume")
 
     def with_(self, **changes) -> "PprParams":
         return replace(self, **changes)
 
+    def generator(self, total: int) -> str:
+        """The generator for ``total`` walks of one call: beyond ``PORTABLE_WALKS`` 31 bits would be shared by many."""
+        if self.rng != "auto":
+            return self.rng
+        return "portable" if total <= PORTABLE_WALKS else "wide"
+
     def phase1_walks(self, n: int, tol: float) -> int:
         return self.force_phase1 or math.ceil(self.phase1_const * (math.log(2) + 3 * math.log(n)) / tol)
 

@@ -154,6 +154,40 @@ def test_walks_follow_the_scores(mixed, rng):
     assert chi < len(truth) + 5 * math.sqrt(2 * len(truth))
 
 
+def test_wide_draws_are_those_of_spark(spark):
+    rows = [(t, w, s) for t in (0, 5) for w in (0, 1, 1 << 40) for s in (0, 3, 1_000_003)]
+    df = spark.createDataFrame(rows, "trial int, walk long, step int")
+    for seed in (1, 7 + 1_000_003):
+        for lane in (0, 1):
+            got = {(r.trial, r.walk, r.step): r.u for r in df.withColumn("u", prng.wide_draw_col(seed, F.col("trial"), F.col("walk"), F.col("step"), lane)).collect()}
+            want = {(t, w, s): int(prng.wide_draw(prng.wide_key(seed, np.array([t]), np.array([w])), s, lane)[0]) for t, w, s in rows}
+            assert got == want
+
+
+def test_wide_walks_of_both_engines(social):
+    for start in (0, solvers.uniform_sources(social)):
+        one, two = ({(r.trial, r.node): r.cnt for r in walks.simulate(social, start, 2, 60, PprParams(alpha=0.7, rng="wide", engine=e)).collect()} for e in ("kernel", "frame"))
+        assert one == two and sum(one.values()) == 120
+
+
+def test_generator_by_number_of_walks():
+    assert P.generator(1 << 20) == "portable" and P.generator((1 << 20) + 1) == "wide"
+    assert P.with_(rng="portable").generator(1 << 30) == "portable" and P.with_(rng="wide").generator(1) == "wide"
+    with pytest.raises(ValueError):
+        P.with_(rng="narrow")
+
+
+def test_equal_weights_need_no_driver_table(spark, monkeypatch):
+    monkeypatch.setattr(walks, "MAX_ALIAS", 10)
+    even = spark.range(500).select((F.col("id") * 3).alias("node"), F.lit(0.5).alias("weight"))
+    rows = walks.alias_table(even).orderBy("slot").collect()
+    assert [(r.slot, r.node, r.accept, r.alias) for r in rows] == [(i, 3 * i, 1.0, 3 * i) for i in range(500)]
+    with pytest.raises(ValueError):
+        walks.alias_table(even.withColumn("weight", F.col("node") + 1.0))
+    with pytest.raises(ValueError):
+        walks.alias_table(even.withColumn("weight", F.lit(0.0)))
+
+
 def test_walks_do_not_depend_on_layout(mixed):
     old = mixed.spark.conf.get("spark.sql.shuffle.partitions")
     answers = []
@@ -348,3 +382,5 @@ def test_one_exchange_per_push_round(mixed):
     arcs = mixed.arcs.select(F.col("dst").alias("node"), "src", "out_deg")
     plan = push.reverse_round(state, arcs, A)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "CartesianProduct" not in plan
+    shuffles = plan.count("Exchange hashpartitioning")
+    assert shuffles <= 3  # both sides of the join with the arcs at most, and the sum
