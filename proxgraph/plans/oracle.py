@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from ..functions import prng
+from ..params import PprParams
 from ..sources.fixtures import FIXTURES
 
 ALPHA = 0.2
@@ -38,6 +39,9 @@ def graph(name: str) -> Sql:
     return q
 
 
+#: The step number that start draws are made with.
+START_STEP = 1_000_003
+
 #: Fixtures that may have nodes without out-arcs at some size.
 DANGLING: frozenset = frozenset()
 
@@ -69,12 +73,18 @@ def pairs(q: Sql, rounds: int) -> Sql:
     return q.add("pp", f"SELECT query, node, sum({ALPHA} * mass) AS est FROM pp_r GROUP BY 1, 2")
 
 
-def reverse_push(q: Sql, cands: str, name: str = "rp") -> Sql:
-    """``rp`` (target, node, reserve, residue) of synchronous rounds; ``cands`` selects (target, theta)."""
+def reverse_push(q: Sql, cands: str, name: str = "rp", held: str | None = None) -> Sql:
+    """``rp`` (target, node, reserve, residue) of synchronous rounds; ``cands`` selects (target, theta).
+
+    ``held`` names a state of the same columns that the push goes on from.
+    """
     q.add(f"{name}_c", cands)
     hot = "residue > theta"
+    first = f"SELECT 0 AS k, target, target AS node, theta, 0.0::DOUBLE AS reserve, 1.0::DOUBLE AS residue, 1.0::DOUBLE AS mx FROM {name}_c"
+    if held:
+        first = f"SELECT 0 AS k, target, node, theta, reserve, residue, max(residue) OVER (PARTITION BY target) AS mx FROM {held} JOIN {name}_c USING (target)"
     body = (
-        f"SELECT 0 AS k, target, target AS node, theta, 0.0::DOUBLE AS reserve, 1.0::DOUBLE AS residue, 1.0::DOUBLE AS mx FROM {name}_c UNION ALL "
+        f"{first} UNION ALL "
         f"SELECT k, target, node, theta, reserve, residue, max(residue) OVER (PARTITION BY target) AS mx FROM (SELECT k, target, node, theta, sum(reserve) AS reserve, sum(residue) AS residue FROM ("
         f"SELECT r.k + 1 AS k, r.target, CASE WHEN c.leg = 0 THEN r.node ELSE g.src END AS node, r.theta, "
         f"CASE WHEN c.leg = 0 THEN r.reserve + CASE WHEN r.{hot} THEN {ALPHA} * r.residue ELSE 0 END ELSE 0 END AS reserve, "
@@ -100,14 +110,21 @@ def forward_push(q: Sql, rmax: str, name: str = "fp") -> Sql:
     return q.add(name, f"SELECT node, reserve, residue FROM {name}_r WHERE k = (SELECT max(k) FROM {name}_r)")
 
 
-def walks(q: Sql, seed: int, trials: int, count: int, name: str = "wk", table: str | None = None) -> Sql:
-    """``wk`` (trial, node, cnt) of stopping walks from the median node, with the portable draws."""
+def walks(q: Sql, seed: int, trials: int | str, count: int | str, name: str = "wk", uniform: bool = False) -> Sql:
+    """``wk`` (trial, node, cnt) of stopping walks from ``s``, or from nodes drawn alike, with the portable draws.
+
+    ``trials`` and ``count`` are numbers or scalar subqueries.
+    """
     p, limit = prng.P, prng.stop_limit(ALPHA)
     key = prng.mix31_sql(f"({prng.mix31_sql(f'({seed * 7919}::BIGINT + trial * 104729) % {p}')} + walk) % {p}")
-    draw = lambda lane: prng.mix31_sql(f"(wkey + (2 * step + {lane}) * {prng._LANE}::BIGINT) % {p}")
+    draw = lambda lane, step="step": prng.mix31_sql(f"(wkey + (2 * {step} + {lane}) * {prng._LANE}::BIGINT) % {p}")
+    begin = f"SELECT trial, wkey, (SELECT id FROM s) AS node, 0::BIGINT AS step, false AS ended FROM {name}_k"
     q.add(f"{name}_k", f"SELECT trial, {key} AS wkey FROM (SELECT unnest(range({trials})) AS trial), (SELECT unnest(range({count})) AS walk)")
+    if uniform:
+        q.add(f"{name}_s", "SELECT id, row_number() OVER (ORDER BY id) - 1 AS slot FROM nd")
+        begin = f"SELECT trial, wkey, id AS node, 0::BIGINT AS step, false AS ended FROM {name}_k JOIN {name}_s ON slot = {draw(0, START_STEP)} % (SELECT n FROM st)"
     body = (
-        f"SELECT trial, wkey, (SELECT id FROM s) AS node, 0::BIGINT AS step, false AS ended FROM {name}_k UNION ALL "
+        f"{begin} UNION ALL "
         f"SELECT trial, wkey, CASE WHEN stops THEN node ELSE g.dst END, step + 1, stops FROM (SELECT r.*, {draw(0)} < {limit} AS stops, {draw(1)} % nd.out_deg AS pick FROM {name}_r r JOIN nd ON nd.id = r.node WHERE NOT ended) x "
         f"LEFT JOIN g ON g.src = node AND g.idx = pick AND NOT stops"
     )
@@ -117,14 +134,58 @@ def walks(q: Sql, seed: int, trials: int, count: int, name: str = "wk", table: s
 
 def three_phase(q: Sql, tol: float, seed: int, phase1: int, trials: int, count: int, degree_norm: bool = False) -> Sql:
     """``cand`` (target, rough, own_tol), ``tr`` (trial, target, est) and ``ans`` (node, est) at forced counts."""
-    walks(q, seed, 1, phase1, "w1")
-    own = f"{tol} * out_deg" if degree_norm else f"{tol}"
-    q.add("rough", f"SELECT node, cnt, cnt / {phase1}.0 AS rough, {own} AS own_tol FROM w1 JOIN nd ON nd.id = node")
-    q.add("cand", "SELECT node AS target, rough, own_tol FROM rough WHERE rough > own_tol / 2")
+    start(q, "median")
+    _candidates(q, tol, seed, phase1, degree_norm, False)
     reverse_push(q, f"SELECT target, own_tol * own_tol * {count} / (6.0 * rough) AS theta FROM cand")
-    walks(q, seed + 1_000_003, trials, count, "w3")
-    q.add("gain", f"SELECT trial, target, sum(cnt / {count}.0 * residue) AS gain FROM w3 JOIN rp USING (node) WHERE residue > 0 GROUP BY 1, 2")
-    q.add("tr", f"SELECT t.trial, c.target, coalesce(r.reserve, 0) + coalesce(g2.gain, 0) AS est FROM cand c JOIN (SELECT unnest(range({trials})) AS trial) t ON true LEFT JOIN rp r ON r.target = c.target AND r.node = (SELECT id FROM s) LEFT JOIN gain g2 ON g2.target = c.target AND g2.trial = t.trial")
+    return _answer(q, seed, trials, count, False)
+
+
+def solver(q: Sql, tol: str, seed: int, p: PprParams, degree_norm: bool = False, uniform: bool = False) -> Sql:
+    """``ans`` (node, est) and ``chosen`` (j, walks, cost) of the whole solver: all counts by its own formulas, and the search.
+
+    The numbers of walks that halving can reach are a finite list, ``halves``; all are pushed side by side, each
+    until its cost is over its budget, and the last before the first that went over is taken.  ``tol`` is a number or an expression over ``st``.
+    """
+    start(q, "uniform" if uniform else "median")
+    q.add("tl", f"SELECT ({tol})::DOUBLE AS tol, ceil({p.median_const} * (ln(2) + 2 * ln(n)))::BIGINT AS trials, ceil({p.phase1_const} * (ln(2) + 3 * ln(n)) / (({tol})::DOUBLE * {'dmin' if degree_norm else 1}))::BIGINT AS phase1 FROM st")
+    trials = "(SELECT trials FROM tl)"
+    _candidates(q, "(SELECT tol FROM tl)", seed, "(SELECT phase1 FROM tl)", degree_norm, uniform)
+    q.add("halves_r", "SELECT 0 AS j, ceil(n / tol)::BIGINT AS walks FROM st, tl UNION ALL SELECT j + 1, walks // 2 FROM halves_r WHERE walks > 1", "(j, walks)", True)
+    q.add("halves", f"SELECT j, walks, CASE WHEN j = 0 THEN 1e300 ELSE {trials} * walks / {p.alpha} END::DOUBLE AS budget FROM halves_r")
+    pushed = "sum(CASE WHEN residue > theta THEN in_deg ELSE 0 END) OVER (PARTITION BY j)"
+    spread = (
+        f"SELECT r.k + 1 AS k, r.j, r.target, CASE WHEN c.leg = 0 THEN r.node ELSE g.src END AS node, r.theta, r.budget, r.spent, "
+        f"CASE WHEN c.leg = 0 THEN r.reserve + CASE WHEN r.residue > r.theta THEN {p.alpha} * r.residue ELSE 0 END ELSE 0 END AS reserve, "
+        f"CASE WHEN c.leg = 0 THEN CASE WHEN r.residue > r.theta THEN 0 ELSE r.residue END ELSE {1 - p.alpha} * r.residue / g.od END AS residue "
+        f"FROM sr_r r JOIN (SELECT 0 AS leg UNION ALL SELECT 1) c ON c.leg = 0 OR r.residue > r.theta LEFT JOIN g ON c.leg = 1 AND g.dst = r.node "
+        f"WHERE r.most > r.theta AND r.spent <= r.budget AND (c.leg = 0 OR g.src IS NOT NULL)"
+    )
+    q.add("tries", f"SELECT j, target, own_tol * own_tol * walks / ({p.theta_const} * rough) AS theta, budget, 1.0::DOUBLE AS residue FROM cand, halves")
+    body = (
+        f"SELECT 0 AS k, j, target, target AS node, theta, budget, 0.0::DOUBLE AS reserve, residue, residue AS most, ({pushed})::DOUBLE AS spent FROM tries JOIN nd ON nd.id = target UNION ALL "
+        f"SELECT k, j, target, node, theta, budget, reserve, residue, max(residue) OVER (PARTITION BY j, target), spent + {pushed} FROM ("
+        f"SELECT k, j, target, node, theta, budget, spent, sum(reserve) AS reserve, sum(residue) AS residue FROM ({spread}) GROUP BY k, j, target, node, theta, budget, spent) JOIN nd ON nd.id = node"
+    )
+    q.add("sr_r", body, "(k, j, target, node, theta, budget, reserve, residue, most, spent)", True)
+    q.add("costs", "SELECT j, max(spent) AS cost, max(spent) > max(budget) AS over FROM sr_r GROUP BY j")
+    q.add("chosen", "SELECT h.j, h.walks, cost::BIGINT AS cost FROM halves h JOIN costs USING (j) WHERE h.j < coalesce((SELECT min(j) FROM costs WHERE over), 1000) ORDER BY h.j DESC LIMIT 1")
+    q.add("rp", "SELECT target, node, reserve, residue FROM (SELECT *, max(k) OVER (PARTITION BY target) AS last FROM sr_r WHERE j = (SELECT j FROM chosen)) WHERE k = last")
+    return _answer(q, seed, trials, "(SELECT coalesce(max(walks), 0) FROM chosen)", uniform)
+
+
+def _candidates(q: Sql, tol: float | str, seed: int, count: int | str, degree_norm: bool, uniform: bool) -> None:
+    walks(q, seed, 1, count, "w1", uniform)
+    own = f"{tol}::DOUBLE * out_deg" if degree_norm else f"{tol}::DOUBLE"
+    q.add("rough", f"SELECT node, cnt, cnt / {count}::DOUBLE AS rough, {own} AS own_tol FROM w1 JOIN nd ON nd.id = node")
+    q.add("cand", "SELECT node AS target, rough, own_tol FROM rough WHERE rough > own_tol / 2")
+
+
+def _answer(q: Sql, seed: int, trials: int | str, count: int | str, uniform: bool) -> Sql:
+    """``tr`` and ``ans`` of the state ``rp``."""
+    walks(q, seed + 1_000_003, trials, count, "w3", uniform)
+    q.add("gain", f"SELECT trial, target, sum(cnt / {count}::DOUBLE * residue) AS gain FROM w3 JOIN rp USING (node) WHERE residue > 0 GROUP BY 1, 2")
+    q.add("settled", "SELECT target, sum(reserve * weight) AS settled FROM rp JOIN w0 USING (node) GROUP BY 1")
+    q.add("tr", f"SELECT t.trial, c.target, coalesce(settled, 0) + coalesce(gain, 0) AS est FROM cand c JOIN (SELECT unnest(range({trials})) AS trial) t ON true LEFT JOIN settled r ON r.target = c.target LEFT JOIN gain g2 ON g2.target = c.target AND g2.trial = t.trial")
     return q.add("ans", "SELECT target AS node, median(est) AS est FROM tr GROUP BY target")
 
 
