@@ -21,6 +21,8 @@ from .graph import Graph
 
 #: Arc touches that one task may do alone.
 SMALL_BUDGET = 5_000_000
+#: Targets that one task may take for a ladder of budgets.
+LADDER_TARGETS = 10_000
 STATE = "target long, node long, reserve double, residue double"
 
 
@@ -77,6 +79,52 @@ def _reverse_kernel(graph: Graph, cands: DataFrame, p: PprParams, budget: float,
     return out.where("cost is null").select("target", "node", "reserve", "residue"), PushTrace(t[0], t[1], within)
 
 
+def ladder(graph: Graph, cands: DataFrame, rungs: list[tuple[int, float]], p: PprParams) -> tuple[DataFrame, list[tuple[int, int, int, bool]]]:
+    """Pushes at each rung (walks, budget) in turn, until one is over its budget, by one task in one job.
+
+    ``cands`` is (target, rough, own_tol).  Gives the state of the last rung within its budget (empty if none was) and
+    (walks, cost, rounds, within) of each rung tried.  For budgets under ``SMALL_BUDGET``, which bound the task's work and
+    with it the states it holds.
+    """
+    adjacency = graph.csr
+    names = ["target", "node", "reserve", "residue", "walks", "cost", "rounds", "within"]
+    kinds = [pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.int64(), pa.int64(), pa.int64(), pa.bool_()]
+
+    def run(batches):
+        rows = [row for batch in batches for row in batch.to_pylist()]
+        csr = adjacency.value
+        places = csr.place(np.array([row["target"] for row in rows], np.int64))
+        held, before = [], 0
+        for count, budget in rungs if rows else []:
+            cost, rounds, within, got = 0, 0, True, []
+            for k, row in enumerate(rows):
+                theta = row["own_tol"] * row["own_tol"] * count / (p.theta_const * row["rough"])
+                state = None
+                if held and p.mode == "resume":
+                    on, *values = held[k]
+                    state = np.zeros(len(csr.ids)), np.zeros(len(csr.ids))
+                    for whole, part in zip(state, values):
+                        whole[on] = part
+                reserve, residue, own, depth, within = kernels.reverse_push(csr, int(places[k]), theta, p.alpha, budget - before - cost, state, p.max_rounds)
+                cost, rounds = cost + own, max(rounds, depth)
+                if not within:
+                    break
+                on = np.flatnonzero((reserve > 0) | (residue > 0))
+                got.append((on, reserve[on], residue[on]))
+            yield kernels.sparse_rows(names, kinds, [[None], [None], [None], [None], [count], [cost], [rounds], [within]])
+            if not within:
+                break
+            held = got
+            before += cost if p.mode == "resume" else 0
+        for row, (on, reserve, residue) in zip(rows, held):
+            gone = [None] * len(on)
+            yield kernels.sparse_rows(names, kinds, [np.full(len(on), row["target"]), csr.ids[on], reserve, residue, gone, gone, gone, gone])
+
+    out = saved(cands.select("target", "rough", "own_tol").repartition(1).mapInArrow(run, f"{STATE}, walks long, cost long, rounds long, within boolean"))
+    tried = out.where("walks is not null").select("walks", "cost", "rounds", "within").orderBy(F.desc("walks")).collect()
+    return out.where("walks is null").select("target", "node", "reserve", "residue"), [tuple(row) for row in tried]
+
+
 def _reverse_frame(graph: Graph, cands: DataFrame, p: PprParams, budget: float, resume: DataFrame | None) -> tuple[DataFrame, PushTrace]:
     limits = saved(cands.select("target", "theta"))
     count = limits.count()

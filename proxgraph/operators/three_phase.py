@@ -82,14 +82,20 @@ def candidates(rough: DataFrame, own_tol: Column) -> DataFrame:
 def thresholds(cands: DataFrame, count: int, p: PprParams) -> DataFrame:
     """(target, theta) for ``count`` walks a trial; without ``adaptive`` one threshold for all, that of the largest rough score."""
     rough = F.col("rough")
-    if not p.adaptive:
-        most = cands.agg(F.max("rough")).first()[0]
-        rough = F.lit(most)
-    return cands.select("target", (F.col("own_tol") * F.col("own_tol") * count / (p.theta_const * rough)).alias("theta"))
+    return _levelled(cands, p).select("target", (F.col("own_tol") * F.col("own_tol") * count / (p.theta_const * rough)).alias("theta"))
+
+
+def _levelled(cands: DataFrame, p: PprParams) -> DataFrame:
+    if p.adaptive:
+        return cands
+    return cands.withColumn("rough", F.lit(cands.agg(F.max("rough")).first()[0]))
 
 
 def search(graph: Graph, cands: DataFrame, first: int, trials: int, p: PprParams, report: SolveReport) -> tuple[DataFrame, int]:
-    """Halve the walks while the push at the halved thresholds costs no more than the walks; (state, walks)."""
+    """Halve the walks while the push at the halved thresholds costs no more than the walks; (state, walks).
+
+    Budgets only fall, so with the kernel all attempts from the first small one on are one job.
+    """
     top = cands.agg(F.max(F.col("rough") / (F.col("own_tol") * F.col("own_tol")))).first()[0]
     count, state = first, None
     if p.skip_noop:
@@ -101,6 +107,14 @@ def search(graph: Graph, cands: DataFrame, first: int, trials: int, p: PprParams
     while count > 1:
         half = count // 2
         budget = trials * half / p.alpha
+        if budget < push.SMALL_BUDGET and report.candidates <= push.LADDER_TARGETS and graph.use_kernel(p.engine) and (state is None or p.mode == "restart"):
+            rungs = [(half >> k, trials * (half >> k) / p.alpha) for k in range(half.bit_length())]
+            got, tried = push.ladder(graph, _levelled(cands, p), rungs, p)
+            report.attempts.extend(Attempt(*t) for t in tried)
+            accepted = [t[0] for t in tried if t[3]]
+            if accepted:
+                count, state = accepted[-1], got
+            break
         resume = state if p.mode == "resume" else None
         base = spent if resume is not None else 0
         got, trace = push.reverse(graph, thresholds(cands, half, p), p, budget - base, resume)

@@ -384,3 +384,14 @@ def test_one_exchange_per_push_round(mixed):
     assert "Python" not in plan and "CartesianProduct" not in plan
     shuffles = plan.count("Exchange hashpartitioning")
     assert shuffles <= 3  # both sides of the join with the arcs at most, and the sum
+
+
+@pytest.mark.parametrize("mode", ["restart", "resume"])
+def test_search_in_one_job_is_the_search_by_attempts(social, monkeypatch, mode):
+    p = P.with_(seed=5, mode=mode)
+    whole, one = solvers.absolute(social, 3, 0.01, p)
+    monkeypatch.setattr(push, "LADDER_TARGETS", 0)
+    parts, many = solvers.absolute(social, 3, 0.01, p)
+    assert one.attempts == many.attempts and one.walks == many.walks and one.push_cost == many.push_cost
+    a, b = ({r.node: r.est for r in x.collect()} for x in (whole, parts))
+    assert a.keys() == b.keys() and all(abs(a[k] - b[k]) < 1e-12 for k in a)
