@@ -183,7 +183,7 @@ def stream_sliding(spark: SparkSession, d: str) -> DataFrame:
 
 @_add("WITH g AS (SELECT user_id, ts, sum(CASE WHEN gap IS NULL OR gap >= INTERVAL 30 MINUTE THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts) AS s FROM (SELECT user_id, ts, ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS gap FROM events)) SELECT user_id, epoch_us(min(ts)) AS start, count(*) AS events FROM g GROUP BY user_id, s")
 def stream_sessions(spark: SparkSession, d: str) -> DataFrame:
-    out = streams.run_to_end(streams.sessions(streams.event_stream(spark, d)), "complete")
+    out = streams.run_to_end(streams.sessions(streams.event_stream(spark, d, closing="30 minutes")), "append")
     return out.select("user_id", F.unix_micros("start").alias("start"), "events")
 
 

@@ -18,16 +18,24 @@ from ..session import ship
 from ..storage import saved, shared_folder
 
 
-def event_stream(spark: SparkSession, sf_dir: str, copies: int = 1, files: int = 4, watermark: str = "1 hour") -> DataFrame:
+def event_stream(spark: SparkSession, sf_dir: str, copies: int = 1, files: int = 4, watermark: str = "1 hour", closing: str | None = None) -> DataFrame:
     """The event table as a stream: sorted files in the shared folder, one a trigger.
 
-    With ``copies`` over one, each file is there that many times.
+    With ``copies`` over one, each file is there that many times.  With ``closing``, the longest time that a window stays
+    open after its last event, all files are one trigger, and a last event (all null but ``ts``) is so late that the
+    watermark passes every window but its own: append mode then gives all of them.
     """
     e = spark.read.parquet(f"{sf_dir}/events.parquet")
     folder = f"{shared_folder(spark)}/streams/{uuid.uuid4().hex}"
     for _ in range(copies):
         e.repartitionByRange(files, "ts").sortWithinPartitions("ts", "event_id").write.mode("append").parquet(folder)
-    s = spark.readStream.schema(e.schema).option("maxFilesPerTrigger", files * copies).parquet(folder)
+    s = spark.readStream.schema(e.schema)
+    if closing is None:
+        s = s.option("maxFilesPerTrigger", files * copies)
+    else:
+        last = e.agg(F.max("ts").alias("ts")).where("ts is not null").select((F.col("ts") + F.expr(f"INTERVAL {watermark} + INTERVAL {closing} + INTERVAL 1 day")).alias("ts"))
+        last.select(*(F.col("ts") if f.name == "ts" else F.lit(None).cast(f.dataType).alias(f.name) for f in e.schema)).write.mode("append").parquet(folder)
+    s = s.parquet(folder)
     return s.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", watermark)
 
 

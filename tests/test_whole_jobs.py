@@ -2,6 +2,7 @@
 
 import random
 from collections import Counter
+from datetime import datetime, timedelta
 from itertools import combinations
 
 import numpy as np
@@ -55,3 +56,20 @@ def test_nearest_in_blocks(spark):
     for block in (7, 25, 1000):
         assert sorted((r.src, r.dst) for r in nearest(df, 5, block=block).collect()) == sorted(want), block
     assert nearest(df.limit(1), 5).count() == 0 and nearest(df.limit(0), 5).count() == 0
+
+
+def test_sessions_are_whole_and_not_held_by_the_driver(spark, tmp_path):
+    begin, rng = datetime(2024, 3, 1), random.Random(5)
+    rows = [(k, begin + timedelta(seconds=rng.randrange(400_000)), k % 7, "click", 1.0, "{}") for k in range(600)]
+    rows.append((600, begin + timedelta(seconds=400_001), 99, "click", 1.0, "{}"))  # still open when the input ends
+    spark.createDataFrame(rows, "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string").write.parquet(str(tmp_path / "events.parquet"))
+    want, last = [], {}
+    for user, ts in sorted((r[2], r[1]) for r in rows):
+        if user not in last or ts - last[user][0] >= timedelta(minutes=30):
+            want.append([user, ts, 0])
+        last[user] = (ts,)
+        want[-1][2] += 1
+    got = relational_queries.stream_sessions(spark, str(tmp_path))
+    assert got.inputFiles()  # a table, not rows in the driver's memory
+    micros = lambda t: (t - datetime(1970, 1, 1)) // timedelta(microseconds=1)
+    assert sorted(map(tuple, got.collect())) == sorted((u, micros(t), n) for u, t, n in want)
