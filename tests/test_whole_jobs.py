@@ -6,9 +6,11 @@ from datetime import datetime, timedelta
 from itertools import combinations
 
 import numpy as np
+import pytest
 
-from proxgraph import relational_queries
-from proxgraph.operators import relational
+from proxgraph import queries, relational_queries
+from proxgraph.functions import measures
+from proxgraph.operators import power, relational
 from proxgraph.sources.fixtures import FIXTURES, nearest
 
 
@@ -73,3 +75,15 @@ def test_sessions_are_whole_and_not_held_by_the_driver(spark, tmp_path):
     assert got.inputFiles()  # a table, not rows in the driver's memory
     micros = lambda t: (t - datetime(1970, 1, 1)) // timedelta(microseconds=1)
     assert sorted(map(tuple, got.collect())) == sorted((u, micros(t), n) for u, t, n in want)
+
+
+@pytest.mark.parametrize("pages", [30, 5200])
+def test_measures_over_all_sources_of_any_graph(spark, tmp_path, pages):
+    rows = [(k, "u", f'<a href="/{k % 11}"><a href="/{k * k % 13}">') for k in range(pages)]
+    spark.createDataFrame(rows, "page_id long, url string, html string").repartition(2).write.parquet(str(tmp_path / "pages.parquet"))
+    mean = queries.QUERIES["average_spread_page_link"](spark, str(tmp_path)).first()
+    g = queries.graph(spark, str(tmp_path), "page_link")
+    assert mean.expected == round(g.n / g.stats["arcs"], 6)
+    if pages == 30:
+        every = power.all_pairs(g, queries.P, queries.TAIL)
+        assert mean.mean_s == pytest.approx(measures.average_spread(g, every).first().mean_s, abs=1e-6)
