@@ -82,8 +82,10 @@ def test_measures_over_all_sources_of_any_graph(spark, tmp_path, pages):
     rows = [(k, "u", f'<a href="/{k % 11}"><a href="/{k * k % 13}">') for k in range(pages)]
     spark.createDataFrame(rows, "page_id long, url string, html string").repartition(2).write.parquet(str(tmp_path / "pages.parquet"))
     mean = queries.QUERIES["average_spread_page_link"](spark, str(tmp_path)).first()
+    cost = queries.QUERIES["cost_value_page_link"](spark, str(tmp_path)).first()
     g = queries.graph(spark, str(tmp_path), "page_link")
-    assert mean.expected == round(g.n / g.stats["arcs"], 6)
+    assert mean.expected == round(g.n / g.stats["arcs"], 6) and cost.a_value > 0
     if pages == 30:
         every = power.all_pairs(g, queries.P, queries.TAIL)
         assert mean.mean_s == pytest.approx(measures.average_spread(g, every).first().mean_s, abs=1e-6)
+        assert cost.a_value == pytest.approx(measures.cost_value(g, queries._exact(g), every).first().a_value, abs=1e-6)
