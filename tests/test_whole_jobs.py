@@ -10,8 +10,10 @@ import pytest
 
 from proxgraph import queries, relational_queries
 from proxgraph.functions import measures
-from proxgraph.operators import power, relational
+from proxgraph.operators import graph as graphs
+from proxgraph.operators import kernels, power, push, relational, solvers
 from proxgraph.sources.fixtures import FIXTURES, nearest
+from proxgraph.storage import saved
 
 
 def test_doc_word_reads_whole_texts(spark, tmp_path):
@@ -89,3 +91,54 @@ def test_measures_over_all_sources_of_any_graph(spark, tmp_path, pages):
         every = power.all_pairs(g, queries.P, queries.TAIL)
         assert mean.mean_s == pytest.approx(measures.average_spread(g, every).first().mean_s, abs=1e-6)
         assert cost.a_value == pytest.approx(measures.cost_value(g, queries._exact(g), every).first().a_value, abs=1e-6)
+
+
+@pytest.mark.parametrize("directed", [False, True])
+def test_stored_adjacency_takes_graphs_that_are_too_large_to_broadcast(spark, monkeypatch, directed):
+    rng = np.random.default_rng(1)
+    arcs = {(int(a), int(b) + (0 if directed else 1000)) for a, b in rng.integers(0, 300, (2000, 2))} | ({(i, (i + 1) % 300) for i in range(300)} if directed else set())
+    edges = spark.createDataFrame(sorted(arcs), "src long, dst long").repartition(5)
+    small = graphs.Graph.from_edges(edges, directed)
+    held, node, p = small.csr.value, small.median_node(), queries.P
+    runs = (lambda g: power.single_source(g, node, p), lambda g: power.single_target(g, node, p), lambda g: solvers.monte_carlo_walks(g, node, 1000, p), lambda g: push.reverse_single(g, node, 1e-4, p)[0].select("node", "reserve"))
+    want = [sorted(map(tuple, run(small).collect())) for run in runs]
+    monkeypatch.setattr(graphs, "KERNEL_ARCS", 10)
+    monkeypatch.setattr(graphs, "STORE_BATCH", 300)
+    large = graphs.Graph.from_edges(edges, directed)
+    assert large.use_kernel("auto")
+    stored = large.csr.value
+    for name in ("ids", "out_at", "out_to", "in_at", "in_from"):
+        assert np.array_equal(getattr(held, name), getattr(stored, name)), name
+    for run, rows in zip(runs, want):
+        got = sorted(map(tuple, run(large).collect()))
+        assert [r[0] for r in got] == [r[0] for r in rows] and np.allclose(got, rows, atol=1e-14)
+    monkeypatch.setattr(graphs, "STORE_NODES", 10)
+    assert not graphs.Graph.from_edges(edges, directed).use_kernel("auto")
+
+
+def test_power_in_chunks_of_arcs(monkeypatch):
+    rng = np.random.default_rng(2)
+    out_deg = rng.integers(1, 9, 50)
+    at = np.concatenate(([0], np.cumsum(out_deg)))
+    to = rng.integers(0, 50, at[-1])
+    src = np.repeat(np.arange(50), out_deg)
+    order = np.lexsort((src, to))
+    csr = graphs.Csr(np.arange(50), at, to, np.concatenate(([0], np.cumsum(np.bincount(to, minlength=50)))), src[order])
+    whole = kernels.power(csr, np.eye(50)[3], 0.2, 30), kernels.reverse_power(csr, 3, 0.2, 30)
+    monkeypatch.setattr(kernels, "CHUNK_ARCS", 7)
+    assert np.allclose(kernels.power(csr, np.eye(50)[3], 0.2, 30), whole[0], atol=1e-15)
+    assert np.allclose(kernels.reverse_power(csr, 3, 0.2, 30), whole[1], atol=1e-15)
+    step = np.zeros((50, 50))
+    np.add.at(step, (src, to), 1 / out_deg[src])
+    exact = 0.2 * sum(np.linalg.matrix_power(0.8 * step, k) for k in range(31))
+    assert np.allclose(whole[0], exact[3]) and np.allclose(whole[1], exact[:, 3])
+
+
+def test_saved_tables_leave_no_shuffle_files(spark):
+    def files():
+        return spark._jvm.org.apache.spark.SparkEnv.get().shuffleManager().shuffleBlockResolver().getStoredShuffles().size()
+
+    before = files()
+    kept = saved(spark.range(10_000).repartition(8, "id").groupBy("id").count())
+    assert files() <= before
+    assert kept.count() == 10_000
