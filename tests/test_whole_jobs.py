@@ -142,3 +142,22 @@ def test_saved_tables_leave_no_shuffle_files(spark):
     kept = saved(spark.range(10_000).repartition(8, "id").groupBy("id").count())
     assert files() <= before
     assert kept.count() == 10_000
+
+
+def test_arcs_are_numbered_behind_one_shuffle(spark, monkeypatch):
+    """Repeated rows, and a node with more arcs than the builder holds; a plan of one shuffle and one sort, without windows."""
+    rng = random.Random(5)
+    edges = [(0, rng.randrange(500)) for _ in range(900)] + [(rng.randrange(40), rng.randrange(60)) for _ in range(700)] + [(41, 3)] * 9
+    near = {}
+    for a, b in sorted(set(edges)):
+        near.setdefault(a, []).append(b)
+    want = [(a, b, i, len(bs)) for a, bs in sorted(near.items()) for i, b in enumerate(bs)]
+    placed = graphs._placed(spark.createDataFrame(edges, "src long, dst long"))
+    assert sorted(tuple(r) for r in placed.collect()) == want
+    plan = placed._jdf.queryExecution().sparkPlan().toString()
+    assert plan.count("Exchange ") == 1 and plan.count("Sort ") == 1 and "Aggregate" not in plan and "Window" not in plan
+    monkeypatch.setattr(graphs, "HELD_ARCS", 50)
+    a, b = (np.array(x) for x in zip(*sorted(edges), strict=True))
+    for size in (7, 64, 5000):
+        batches = [graphs.pa.RecordBatch.from_arrays([graphs.pa.array(x[k : k + size]) for x in (a, b)], names=["src", "dst"]) for k in range(0, len(a), size)]
+        assert [tuple(r.values()) for got in graphs._numbered(iter(batches)) for r in got.to_pylist()] == want
