@@ -161,3 +161,41 @@ def test_arcs_are_numbered_behind_one_shuffle(spark, monkeypatch):
     for size in (7, 64, 5000):
         batches = [graphs.pa.RecordBatch.from_arrays([graphs.pa.array(x[k : k + size]) for x in (a, b)], names=["src", "dst"]) for k in range(0, len(a), size)]
         assert [tuple(r.values()) for got in graphs._numbered(iter(batches)) for r in got.to_pylist()] == want
+
+
+def test_arcs_travel_as_packed_runs(spark, monkeypatch):
+    """Runs, pieces and a node that takes several pieces; far ids; the shuffle has far fewer rows than arcs."""
+    rng = random.Random(6)
+    far = 1 << 61
+    edges = [(7, -9 - 4 * k) for k in range(3000)] + [(rng.randrange(400), -9 - 4 * rng.randrange(3000)) for _ in range(5000)] + [(far, -far), (far, -far - 5)] * 3
+    both = set(edges) | {(b, a) for a, b in edges}
+    near = {}
+    for a, b in sorted(both):
+        near.setdefault(a, []).append(b)
+    want = [(a, b, i, len(bs)) for a, bs in sorted(near.items()) for i, b in enumerate(bs)]
+    for name, value in (("RUN_ARCS", 700), ("PIECE_ARCS", 512), ("SAMPLE_EVERY", 4), ("BATCH_ARCS", 100)):
+        monkeypatch.setattr(graphs, name, value)
+    table = spark.createDataFrame(edges, "src long, dst long").repartition(3)
+    placed = graphs._placed(table, True)
+    assert sorted(tuple(r) for r in placed.collect()) == want
+    plan = placed._jdf.queryExecution().sparkPlan().toString()
+    assert "piece" in plan and plan.count("Exchange ") == 1
+    for bad, kind in (([(None, 1)], "null"), ([(3, 3)], "self-loop")):
+        with pytest.raises(graphs.GraphError, match=kind):
+            graphs.Graph.from_edges(table.union(spark.createDataFrame(bad, "src long, dst long")), False)
+    looped = table.union(spark.createDataFrame([(3, 3)], "src long, dst long"))
+    assert graphs.Graph.from_edges(looped, False, self_loops="drop").pairs.count() == len(want)
+    empty = graphs._placed(spark.createDataFrame([], "src long, dst long"), True)
+    assert empty.count() == 0
+
+
+def test_large_vocabularies_are_not_joined_by_shuffle(spark, tmp_path):
+    """Words are numbered by hashes in array files, whatever their number: texts are not shuffled, and no word is lost."""
+    rng = random.Random(8)
+    texts = [(d, " ".join(rng.choice(["Ä", "b\n", "x\ty", "É", f"w{rng.randrange(900)}", "", "Z"]) for _ in range(60))) for d in range(200)]
+    spark.createDataFrame(texts, "doc_id long, text string").repartition(3).write.parquet(str(tmp_path / "documents.parquet"))
+    pairs = {(d, w) for d, t in texts for w in t.lower().split(" ") if w}
+    number = {w: i for i, w in enumerate(sorted({w for _, w in pairs}, key=str.encode), 1)}
+    got = FIXTURES["doc_word"].build(spark, str(tmp_path))
+    assert "Exchange" not in got._jdf.queryExecution().sparkPlan().toString() and "Join" not in got._jdf.queryExecution().sparkPlan().toString()
+    assert sorted((r.src, r.dst) for r in got.collect()) == sorted((4 * d, 4 * number[w] + 1) for d, w in pairs)
