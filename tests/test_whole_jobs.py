@@ -199,3 +199,14 @@ def test_large_vocabularies_are_not_joined_by_shuffle(spark, tmp_path):
     got = FIXTURES["doc_word"].build(spark, str(tmp_path))
     assert "Exchange" not in got._jdf.queryExecution().sparkPlan().toString() and "Join" not in got._jdf.queryExecution().sparkPlan().toString()
     assert sorted((r.src, r.dst) for r in got.collect()) == sorted((4 * d, 4 * number[w] + 1) for d, w in pairs)
+
+
+def test_scores_of_many_nodes_are_not_broadcast(spark, monkeypatch):
+    edges = spark.createDataFrame([(i, 1000 + i % 7) for i in range(60)] + [(i, 1000 + i % 5) for i in range(60)], "src long, dst long")
+    g = graphs.Graph.from_edges(edges, False)
+    scores = power.single_source(g, 3, queries.P)
+    want = measures.spread(g, scores).collect()
+    monkeypatch.setattr(measures, "BROADCAST_ROWS", 10)
+    got = measures.spread(g, scores)
+    assert "BroadcastHashJoin" not in got._jdf.queryExecution().sparkPlan().toString()
+    assert np.allclose(got.collect(), want)
