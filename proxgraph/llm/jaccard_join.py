@@ -8,9 +8,10 @@ union can reach the threshold.
    here on, so exact copies are never paired.  A text is named by 64 bits; fingerprints that two
    different sets share (told apart by 64 more bits) are replaced by those.
 2. All tokens are put into one order, the rarest first: tokens of one text only come before all
-   others, frequent ones last.  The order comes from the exact number of texts of each token, so one
-   shuffle of the tokens is needed; the most frequent tokens (found per block of texts, a bounded
-   list) are known to be shared, stand last, and are dealt by (token, text) there.
+   others, frequent ones last.  The order comes from the number of texts of each token's key (its first
+   bits), so one shuffle is needed, of sorted packed runs; copies are left out before.  The most frequent
+   tokens (found per block of texts, a bounded list) are known to be shared and stand last, so a text's
+   own task knows their places; they are not shuffled with the others.
 3. Two linked sets of ``n`` and ``m`` tokens share at least ``t (n + m) / (1 + t)`` tokens.  If their first
    shared token stands at place ``i`` of the one (from 0), the overlap is ``n - i`` at most.  So the first
    shared token is among the first ``(1 - t) n`` tokens of the larger set (its probe rows) and the first
@@ -20,7 +21,8 @@ union can reach the threshold.
 5. The matrix has, for each group, set size and token, the most tokens that any member of that size has
    from there on in its matrix rows: the token union of the group, split by size, with its bound.  A text
    asks with its probe rows; the smaller of what the two sides can still share bounds the overlap with
-   every member.  A group that can't reach the threshold stays closed.
+   every member.  Where the token is frequent, all that is shared is frequent and is bounded class by
+   class of tokens as well.  A group that can't reach the threshold stays closed.
 6. The members of open groups that meet the bound themselves are compared by their whole sets.  Every
    linked pair is in one group by step 4 or is compared here, so no link is lost.
 7. Components of all links give the result, as the smallest id of each.
@@ -32,9 +34,12 @@ Repeated ids are handled row by row; ties do not matter (the result does not dep
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -53,6 +58,12 @@ MOST_FREQUENT = 1 << 20
 MOST_COLLISIONS = 1 << 18
 #: Parts of a text's rows when components are joined back by shuffle.
 SALTS = 16
+#: Tokens that are not frequent are counted by their first bits; tokens and bits of texts that a task sorts at once.
+KEY_BITS, HELD_TOKENS, TEXT_BITS = 40, 1 << 22, 22
+#: Tokens of a range of keys, ranges at least, rows of a batch.
+PIECE_TOKENS, LEAST_PIECES, BATCH_ROWS = 1 << 20, 32, 1 << 17
+#: Classes by which the frequent tokens of a text are counted.
+CLASSES = 16
 
 
 def shingle_sets(raw: np.ndarray, offs: np.ndarray, shingle: int = SHINGLE) -> list[np.ndarray]:
@@ -107,34 +118,139 @@ def _profile(shingle: int):
     return run
 
 
-def _emit(shingle: int, collided: frozenset, frequent):
-    """(key, fp, often) of each token of each distinct set of a task's recent rows.
+def _planes(x: np.ndarray) -> bytes:
+    """Numbers in the fewest bytes, byte by byte, compressed."""
+    wide = next(w for w in range(1, 9) if w == 8 or int(x.max(initial=0)) >> 8 * w == 0)
+    held = pa.compress(np.ascontiguousarray(x.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :wide].T).tobytes(), "zstd", asbytes=True)
+    return bytes([wide]) + len(held).to_bytes(8, "little") + held
 
-    ``key`` is the token; for a frequent one it is a hash of token and text, and ``often`` is the token.
+
+def _pack(base: int, v: np.ndarray) -> bytes:
+    """A run of sorted numbers (key, text): differences of keys, and texts counted from ``base``."""
+    key, text = v >> np.uint64(TEXT_BITS), v & np.uint64((1 << TEXT_BITS) - 1)
+    return len(v).to_bytes(8, "little") + base.to_bytes(8, "little") + _planes(np.diff(key, prepend=np.uint64(0))) + _planes(text)
+
+
+def _unpack(run: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """Keys and names of texts of a run."""
+    n, base, at, out = int.from_bytes(run[:8], "little"), int.from_bytes(run[8:16], "little"), 16, []
+    for _ in range(2):
+        wide, size = run[at], int.from_bytes(run[at + 1 : at + 9], "little")
+        raw = pa.decompress(run[at + 9 : at + 9 + size], n * wide, "zstd", asbytes=True)
+        x = np.zeros((n, 8), np.uint8)
+        x[:, :wide] = np.frombuffer(raw, np.uint8).reshape(wide, n).T
+        out.append(x.view("<u8").ravel().astype(np.int64))
+        at += 9 + size
+    return np.cumsum(out[0]), out[1] + base
+
+
+_ROWS = {"piece": pa.int64(), "run": pa.binary(), "token": pa.int64(), "name": pa.int64(), "fp": pa.int64(), "n": pa.int64(), "lead": pa.int64(), "pos": pa.int64(), "sig": pa.list_(pa.int32())}
+
+
+def _batch(rows: int, leave: tuple = (), **given) -> pa.RecordBatch:
+    """A batch of the columns of ``_ROWS`` but those to leave; nulls for those not given."""
+    names = [k for k in _ROWS if k not in leave]
+    return pa.RecordBatch.from_arrays([pa.array(given[k], _ROWS[k]) if k in given else pa.nulls(rows, _ROWS[k]) for k in names], names=names)
+
+
+def _emit(shingle: int, collided: frozenset, frequent, pieces: int, threshold: int):
+    """Runs of the tokens that are not frequent, by ranges of keys; a row of each text; the probe rows of frequent tokens.
+
+    A text's name is its place in the task's rows.  Its frequent tokens come last in the order, so their places are known
+    here.  ``lead`` is the number of its other keys; ``sig`` counts the frequent tokens from a row's on by class.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        often = frequent.value
-        seen: set = set()
+        often, order = frequent.value
+        base = TaskContext.get().partitionId() << 40
+        held: list[np.ndarray] = []
+        fps: list[int] = []
+        sizes: list[int] = []
+        leads: list[int] = []
+        probes: list[tuple[np.ndarray, ...]] = []
+        count = 0
+
+        def rest() -> Iterator[pa.RecordBatch]:
+            v = np.sort(np.concatenate(held))
+            again = np.append(False, v[1:] == v[:-1])
+            lead = np.array(leads) - np.bincount((v[again] & np.uint64((1 << TEXT_BITS) - 1)).astype(np.int64), minlength=len(leads))
+            v = v[~again]
+            bounds = [(i << KEY_BITS) // pieces << TEXT_BITS for i in range(1, pieces)]
+            at = np.concatenate(([0], np.searchsorted(v, np.array(bounds, np.uint64)), [len(v)]))
+            for i in np.flatnonzero(np.diff(at)):
+                yield _batch(1, piece=[i], run=[_pack(base, v[at[i] : at[i + 1]])])
+            names = base + np.arange(len(fps))
+            yield _batch(len(fps), piece=-1 - names % pieces, name=names, fp=fps, n=sizes, lead=lead)
+            if probes:
+                token, text, pos, sig = (np.concatenate(x) for x in zip(*probes))
+                sig = pa.ListArray.from_arrays(np.arange(0, sig.size + 1, CLASSES, np.int32), pa.array(sig.ravel()))
+                yield _batch(len(token), piece=-1 - names[text] % pieces, token=token, name=names[text], pos=pos, sig=sig)
+
         for batch in batches:
             for _, _, raw, offs in blocks(batch.column("body")):
-                keys, fps, tokens = [], [], []
                 for s in shingle_sets(raw, offs, shingle):
-                    if not len(s) or (name := text_key(s, collided)) in seen:
+                    if not len(s):
                         continue
-                    if len(seen) >= 200_000:
-                        seen.clear()
-                    seen.add(name)
-                    hot = often[np.minimum(np.searchsorted(often, s), len(often) - 1)] == s if len(often) else np.zeros(len(s), bool)
-                    keys.append(np.where(hot, mix(s + np.array([name]).view(np.uint64) * _ODD[0]), s) if hot.any() else s)
-                    fps.append(np.full(len(s), name, np.int64))
-                    tokens.append(pa.array(signed(s), mask=~hot))
-                if keys:
-                    yield pa.RecordBatch.from_arrays([pa.array(signed(np.concatenate(keys))), pa.array(np.concatenate(fps)), pa.concat_arrays(tokens)], names=["key", "fp", "often"])
+                    f = 0
+                    if len(often):
+                        place = np.minimum(np.searchsorted(often, s), len(often) - 1)
+                        hot = often[place] == s
+                        f = int(hot.sum())
+                    if f and 100 * f >= threshold * len(s):
+                        token = np.sort(order[place[hot]])
+                        rows = 1 + (100 * f - threshold * len(s)) // 100
+                        own = (mix(token.view(np.uint64)) % np.uint64(CLASSES)).astype(np.int64)
+                        later = np.cumsum((own[:, None] == np.arange(CLASSES))[::-1], 0, np.int32)[::-1]
+                        probes.append((token[:rows], np.full(rows, len(fps)), len(s) - f + np.arange(rows), later[:rows]))
+                    held.append(((s[~hot] if f else s) >> np.uint64(64 - KEY_BITS)) << np.uint64(TEXT_BITS) | np.uint64(len(fps)))
+                    fps.append(text_key(s, collided))
+                    sizes.append(len(s))
+                    leads.append(len(s) - f)
+                    count += len(s)
+                    if len(fps) == 1 << TEXT_BITS or count >= HELD_TOKENS:
+                        yield from rest()
+                        base, count = base + len(fps), 0
+                        for x in (held, fps, sizes, leads, probes):
+                            x.clear()
+        if fps:
+            yield from rest()
 
     return run
 
 
+def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """A row of each text of each key that several have, piece by piece; other rows as they are.
+
+    ``token`` names a key and is its place in the order: 15 bits of how often, 48 of the key.
+    """
+    parts, now = [], None
+
+    def rest() -> Iterator[pa.RecordBatch]:
+        key, name = (np.concatenate(x) for x in zip(*parts))
+        by = np.argsort(key)
+        key, name = key[by], name[by]
+        begin = np.flatnonzero(np.append(True, key[1:] != key[:-1]))
+        df = np.diff(np.append(begin, len(key)))
+        shared = np.repeat(df > 1, df)
+        token = (np.repeat(np.minimum(df, (1 << 14) - 1), df) << 48 | key)[shared]
+        name = name[shared]
+        for lo in range(0, len(token), BATCH_ROWS):
+            yield _batch(len(token[lo : lo + BATCH_ROWS]), ("piece", "run"), token=token[lo : lo + BATCH_ROWS], name=name[lo : lo + BATCH_ROWS])
+
+    for batch in batches:
+        packed = pc.is_valid(batch.column("run"))
+        yield batch.filter(pc.invert(packed)).select([k for k in _ROWS if k not in ("piece", "run")])
+        batch = batch.select(["piece", "run"]).filter(packed)
+        for piece, held in zip(batch.column(0).to_pylist(), batch.column(1)):
+            if parts and piece != now:
+                yield from rest()
+                parts = []
+            now = piece
+            parts.append(_unpack(held.as_py()))
+    if parts:
+        yield from rest()
+
+
 def _sets(shingle: int, collided: frozenset):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -169,28 +285,40 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def prefix_rows(body: DataFrame, seen: DataFrame, texts: DataFrame, collided: frozenset, threshold: int, shingle: int) -> DataFrame:
-    """(token, fp, n, pos): the probe rows; ``pos`` is the token's place in its text, the rarest first."""
+    """(token, fp, n, pos, sig): the probe rows; ``pos`` is the token's place in its text, the rarest first, or less.
+
+    Two tokens that share a key count as one; ``pos`` is then less than the place, which can only add candidates.
+    """
     spark = body.sparkSession
     least = F.lit(FREQUENT_SHARE) * F.lit(seen.count())
     often = seen.where("often is not null").select(F.explode(F.arrays_zip("often", "times")).alias("x")).groupBy(F.col("x.often").alias("token")).agg(F.sum("x.times").alias("times")).where(F.col("times") >= least)
-    often = saved(often.orderBy(F.desc("times"), "token").limit(MOST_FREQUENT))
-    held = often.select("token").toArrow().column("token").to_numpy()
-    frequent = spark.sparkContext.broadcast(np.sort(held.view(np.uint64)))
-    rows = arrow_map(body.where("id is not null").select("body"), _emit(shingle, collided, frequent), "key long, fp long, often long")
-    own = Window.partitionBy("key")
-    rows = rows.withColumn("lo", F.min("fp").over(own)).withColumn("hi", F.max("fp").over(own)).withColumn("df", F.count("*").over(own))
-    rows = rows.where("often is not null or lo < hi").select("key", "fp", "often", "df").dropDuplicates(["key", "fp"])
-    rows = join_bounded(rows, often.withColumnsRenamed({"token": "of"}), F.col("often") == F.col("of"), "left", len(held))
-    # one number names a token and is its place in the order: 15 bits of how often, 48 of the token.  Two tokens that
-    # share it have the same rows and bounds; that can only add candidates.
-    often_class = F.lit(1 << 14) + F.least(F.floor(F.log2("times") * 256), F.lit((1 << 14) - 1))
-    token = F.shiftleft(F.coalesce(often_class, F.least("df", F.lit((1 << 14) - 1))).cast("long"), 48).bitwiseOR(F.coalesce("often", "key").bitwiseAND(F.lit((1 << 48) - 1)))
-    rows = rows.select(token.alias("token"), "fp")
-    # tokens of no other text come first and need no row: they only count
-    per = Window.partitionBy("fp")
-    placed = rows.join(texts.select("fp", "n"), "fp").withColumn("shared", F.count("*").over(per)).withColumn("rank", F.row_number().over(per.orderBy("token")))
-    placed = placed.select("token", "fp", "n", (F.col("n") - F.col("shared") + F.col("rank") - 1).alias("pos"))
-    return saved(placed.where(100 * (F.col("n") - F.col("pos")) >= threshold * F.col("n")))
+    held = often.orderBy(F.desc("times"), "token").limit(MOST_FREQUENT).toArrow()
+    token, times = (held.column(k).to_numpy() for k in ("token", "times"))
+    order = (1 << 14) + np.minimum(np.log2(times) * 256, (1 << 14) - 1).astype(np.int64) << 48 | token & ((1 << 48) - 1)
+    by = np.argsort(token.view(np.uint64))
+    frequent = spark.sparkContext.broadcast((token.view(np.uint64)[by], order[by]))
+    # a text is read from one row, or from rows that are equal in id and text
+    rows, tokens, first = texts.agg(F.sum("rows"), F.sum("n"), F.count("*")).first()
+    several = saved(texts.where("rows > 1").select("fp", "first"))
+    copies = saved(join_bounded(seen.where("id is not null").select("id", "text_hash", "fp"), several, "fp", "inner", several.count()).where(F.struct("id", "text_hash") != F.col("first")).select("id", "text_hash"))
+    count = copies.count()
+    once = join_bounded(body.where("id is not null"), copies, ["id", "text_hash"], "left_anti", count)
+    if count > BROADCAST_ROWS:  # names of texts are their places: tasks that run again must see them in one order
+        once = once.sortWithinPartitions("id", "text_hash")
+    pieces = max(LEAST_PIECES, -(-(tokens or 0) // PIECE_TOKENS))
+    kinds = "token long, name long, fp long, n long, lead long, pos long, sig array<int>"
+    runs = arrow_map(once.select("body"), _emit(shingle, collided, frequent, pieces, threshold), f"piece long, run binary, {kinds}")
+    runs = runs.repartition(max(1, pieces // 2), "piece").sortWithinPartitions("piece")
+    found = arrow_map(runs, _counted, kinds)
+    # keys of no other text come first and need no row: they only count
+    per = Window.partitionBy("name")
+    found = found.withColumn("shared", F.count(F.when(F.col("pos").isNull(), F.col("token"))).over(per))
+    for k in ("fp", "n", "lead"):
+        found = found.withColumn(k, F.max(k).over(per))
+    found = found.withColumn("rank", F.row_number().over(per.orderBy(F.asc_nulls_last("token"))))
+    found = found.where("token is not null").withColumn("pos", F.coalesce("pos", F.col("lead") - F.col("shared") + F.col("rank") - 1))
+    found = found.where(100 * (F.col("n") - F.col("pos")) >= threshold * F.col("n")).select("token", "fp", "n", "pos", "sig")
+    return saved(found if rows == first + count else found.dropDuplicates(["token", "fp"]))
 
 
 def linked_texts(docs: DataFrame, threshold: int, shingle: int, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
@@ -229,24 +357,29 @@ def linked_texts(docs: DataFrame, threshold: int, shingle: int, id_col: str, tex
     star = rows.join(centre, "token").where("fp <> centre").groupBy("fp", "centre").agg(F.count("*").alias("shared"))
     star = star.groupBy("fp").agg(F.max_by("centre", F.struct("shared", "centre")).alias("centre"))
     first = links(saved(star.select(F.col("fp").alias("a"), F.col("centre").alias("b"))))
-    rows = rows.join(components(first), F.col("fp") == F.col("node"), "left").select("token", "fp", "n", "pos", F.coalesce("root", "fp").alias("grp"))
+    rows = rows.join(components(first), F.col("fp") == F.col("node"), "left").select("token", "fp", "n", "pos", "sig", F.coalesce("root", "fp").alias("grp"))
     several = rows.groupBy("token").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo < hi").select("token")
     rows = saved(rows.join(several, "token"))
 
     # the matrix: a row for each token of the union of a group's members of one size, with what bounds the overlap
     inside = rows.where((100 + threshold) * (F.col("n") - F.col("pos")) >= 2 * threshold * F.col("n"))
-    inside = inside.select("token", F.col("grp").alias("other"), F.col("n").alias("m"), F.col("fp").alias("b"), (F.col("n") - F.col("pos")).alias("rest"))
-    matrix = inside.groupBy("token", "other", "m").agg(F.max("rest").alias("reach"))
+    inside = inside.select("token", F.col("grp").alias("other"), F.col("n").alias("m"), F.col("fp").alias("b"), (F.col("n") - F.col("pos")).alias("rest"), F.col("sig").alias("own"))
+    matrix = inside.groupBy("token", "other", "m").agg(F.max("rest").alias("reach"), F.array(*(F.max(F.col("own")[i]) for i in range(CLASSES))).alias("most"))
     in_size = (F.col("n") >= F.col("m")) & (100 * F.col("m") >= threshold * F.col("n"))
 
     def enough(can: str) -> Column:
         return (100 + threshold) * F.least(F.col("n") - F.col("pos"), F.col(can)) >= threshold * (F.col("n") + F.col("m"))
 
-    asks = rows.join(matrix, "token").where("grp <> other").where(in_size).where(enough("reach"))
-    asks = saved(asks.select("token", F.col("fp").alias("a"), "n", "pos", "other", "m"))
+    def alike(can: str) -> Column:
+        """If the first token they share is frequent, so are all: no class has more of them in both than in either."""
+        both = reduce(Column.__add__, (F.least(F.col("sig")[i], F.col(can)[i]) for i in range(CLASSES)))
+        return F.coalesce((100 + threshold) * both.cast("long") >= threshold * (F.col("n") + F.col("m")), F.lit(True))
+
+    asks = rows.join(matrix, "token").where("grp <> other").where(in_size).where(enough("reach")).where(alike("most"))
+    asks = saved(asks.select("token", F.col("fp").alias("a"), "n", "pos", "sig", "other", "m"))
 
     # open groups: their members under the same bound on the pair itself; the larger set asks
-    pairs = asks.join(inside, ["token", "other", "m"]).where("n > m or a > b").where(enough("rest"))
+    pairs = asks.join(inside, ["token", "other", "m"]).where("n > m or a > b").where(enough("rest")).where(alike("own"))
     final = components(saved(first.union(links(saved(pairs.select("a", "b").distinct())))))
     return seen.select("id", "text_hash", "n", "fp"), texts.join(final, F.col("fp") == F.col("node"), "left").select("fp", "first", "rows", F.coalesce("root", "fp").alias("root"))
 
